@@ -23,11 +23,21 @@ from pyspark.sql import functions as F
 from .common import cut, number_within, text_slices, texts_of
 
 #: Words whose ids a worker remembers at once.
-MEMORY = 600_000
+MEMORY = 900_000
 
-# Characters on which a word's ids do not depend on its neighbours and whose case and
-# form need no context: any other text is given to the tokenizer whole.
-_PLAIN = re.compile("[^\x20-\x7e\t\n\r\xa1-įĲ-˿‐-‧€]")
+# Characters on which a word's ids do not depend on its neighbours, whose case and form
+# need no context and whose class is the same for re and the tokenizer: any other text is
+# given to the tokenizer whole.
+_PLAIN = re.compile("[^\x20-\x7e\t\n\r\xa1-\xa9\xab-\xb1\xb4\xb6-\xb8\xbb\xbf-įĲ-˿‐-‧€]")
+_PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
+
+
+def _byte_letters() -> list[str]:
+    """The letter that stands for each byte in a byte-level vocabulary: visible Latin-1
+    characters for themselves, the other bytes in order from 256 on."""
+    seen = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in seen]
+    return [chr(b) if b in seen else chr(256 + rest.index(b)) for b in range(256)]
 
 
 class Tokenizer:
@@ -42,25 +52,45 @@ class Tokenizer:
         self.library = Library.from_file(path)
         self.library.encode_special_tokens = True  # their strings in a text are ordinary text
         self.known: dict[str, bytes] = {}
+        self.pieces: dict[str, bytes] = {}
+        self.letters = _byte_letters()
         self.by_word = self._splits_at_blanks()
 
     def _splits_at_blanks(self) -> bool:
-        """Does the tokenizer drop blanks and treat words apart? Asked of it, not assumed."""
-        one = self._ids(["ab, c'd 12", "ab,", "c'd", "12", "AB", "ab"])
-        return one[0] == one[1] + one[2] + one[3] and one[4] == one[5]
+        """Does the tokenizer drop blanks and treat these pieces apart? Asked of it, not assumed."""
+        probe = ["ab, c'd it's 12 x_y !_! «É» don't €5", "WORLD's End"]
+        try:
+            return self._ids(probe) == [b"".join(map(self._word, t.lower().split())) for t in probe]
+        except Exception:  # noqa: BLE001  a model without such pieces: whole texts then
+            return False
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _word(self, word: str) -> bytes:
+        out = []
+        for p in _PIECE.findall(word):
+            ids = self.pieces.get(p)
+            if ids is None:
+                own = p if p.isascii() else "".join([self.letters[b] for b in p.encode()])
+                ids = np.array([t.id for t in self.library.model.tokenize(own)], "<u4").tobytes()
+                if len(self.pieces) > MEMORY // 2:
+                    self.pieces.clear()
+                self.pieces[p] = ids
+            out.append(ids)
+        return b"".join(out)
+
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
         plain = [self.by_word and not _PLAIN.search(t) for t in texts]
         words = [t.lower().split() if p else None for t, p in zip(texts, plain, strict=True)]
-        if len(self.known) > MEMORY:
-            self.known.clear()
-        new = list(set().union(*(w for w in words if w)) - self.known.keys())
-        self.known.update(zip(new, self._ids(new), strict=True))
-        get = self.known.__getitem__
+        known = self.known
+        if len(known) > MEMORY:
+            known.clear()
+        make = self._word
+        for w in set().union(*(w for w in words if w)) - known.keys():
+            known[w] = make(w)
+        get = known.__getitem__
         rest = iter(self._ids([t for t, w in zip(texts, words, strict=True) if w is None]))
         return [b"".join(map(get, w)) if w is not None else next(rest) for w in words]
 

@@ -29,21 +29,25 @@ def _draw(key: Column, name: Column, weight: Column) -> Column:
 def _winner(key: Column, base: Column, children: int, span: int, shards: int) -> Column:
     """First shard of the child that wins below ``base``: each child holds the next
     ``span`` shards, as far as there are so many, and weighs what it holds."""
-    draws = []
-    for i in range(children):
+
+    def drawn(i: Column) -> Column:
         first = base + i * span
         weight = F.greatest(F.least(F.lit(shards) - first, F.lit(span)), F.lit(0)).cast("double")
-        draws.append(F.struct(_draw(key, first * 64 + span, weight).alias("draw"), first.alias("first")))
-    return F.array_min(F.array(*draws))["first"]
+        return F.struct(_draw(key, first * 64 + span, weight).alias("draw"), first.alias("first"))
+
+    return F.array_min(F.transform(F.sequence(F.lit(0), F.lit(children - 1)), drawn))["first"]
+
+
+def _below(value: Column, then) -> Column:
+    """``then`` of a value computed once (a plain reference would be computed at each use)."""
+    return F.get(F.transform(F.array(value), then), F.lit(0))
 
 
-def with_shard(df: DataFrame, key: Column, shards: int, name: str) -> DataFrame:
-    """Adds the shard of ``key`` in a tree of ``shards`` shards: region, rack, shard in turn."""
+def shard_of(key: Column, shards: int) -> Column:
+    """Shard of ``key`` in a tree of ``shards`` shards: region, rack, shard in turn."""
     in_region = RACKS_IN_REGION * SHARDS_IN_RACK
-    regions = -(-shards // in_region)
-    step = df.withColumn("_region", _winner(key, F.lit(0), regions, in_region, shards))
-    step = step.withColumn("_rack", _winner(key, F.col("_region"), RACKS_IN_REGION, SHARDS_IN_RACK, shards))
-    return step.withColumn(name, _winner(key, F.col("_rack"), SHARDS_IN_RACK, 1, shards).cast("int")).drop("_region", "_rack")
+    region = _winner(key, F.lit(0), -(-shards // in_region), in_region, shards)
+    return _below(region, lambda r: _below(_winner(key, r, RACKS_IN_REGION, SHARDS_IN_RACK, shards), lambda k: _winner(key, k, SHARDS_IN_RACK, 1, shards))).cast("int")
 
 
 def shard_documents(docs: DataFrame, shards: int = 40) -> DataFrame:
@@ -56,6 +60,7 @@ def shard_documents(docs: DataFrame, shards: int = 40) -> DataFrame:
         (F.octet_length(raw) + F.lit(16)).cast("long").alias("size"),
         F.crc32(raw).alias("text_crc32"),
         F.lit("key").alias("law"),
+        shard_of(F.col("doc_id"), shards).alias("shard"),
+        shard_of(F.col("doc_id"), shards + 1).alias("grown_shard"),
     )
-    rows = with_shard(with_shard(rows, F.col("doc_id"), shards, "shard"), F.col("doc_id"), shards + 1, "grown_shard")
     return number_within(rows, "shard", ["doc_id", "size", "text_crc32"], "slot").select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard")

@@ -1,0 +1 @@
+"""Evaluation integrity on Spark: boundary audits, answer rewards, judging statistics."""

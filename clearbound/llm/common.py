@@ -7,6 +7,7 @@ import gc
 import os
 import struct
 import tempfile
+import time
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -27,18 +28,22 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def cut(df: DataFrame) -> DataFrame:
+def cut(df: DataFrame, reclaim: bool = False) -> DataFrame:
     """Run the plan once and cut its lineage with a reliable checkpoint in the folder
-    that the session names; only where none is named (tests) one is made. Shuffle
-    files of the finished part are then free to be cleaned."""
+    that the session names; only where none is named (tests) one is made. ``reclaim``:
+    have the shuffle files of the finished part cleaned now, for parts as large as the
+    input (Spark cleans them once the driver has collected what refers to them)."""
     spark = df.sparkSession
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         named = spark.conf.get("spark.checkpoint.dir", None)
         sc.setCheckpointDir(named or os.path.join(tempfile.gettempdir(), f"checkpoints-{os.getuid()}"))
     out = df.checkpoint(eager=True)
-    gc.collect()
-    sc._jvm.System.gc()
+    del df  # the plan that ran holds its shuffles
+    for _ in range(3 if reclaim else 0):
+        gc.collect()
+        sc._jvm.System.gc()
+        time.sleep(0.3)
     return out
 
 

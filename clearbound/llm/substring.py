@@ -4,7 +4,7 @@ Reference blocks are the non-overlapping blocks of ``block`` words of every docu
 every rolling window of ``block`` words of every document probes them. With
 2 * block - 1 <= window each repeat of ``window`` words holds a whole reference block of
 its earlier copy, so anchors miss none. Hits are then extended: the windows of
-``window`` words around the hits are compared exactly by 128-bit hashes, and runs of
+``window`` words around the hits are compared by 96-bit hashes, and runs of
 windows that start in a document of smaller id are the maximal exact repeats removed.
 
 Rows of the exchanges are not windows but blobs: a task sorts the windows of some
@@ -205,6 +205,7 @@ def _extend(block: int, window: int, buckets: int, parts: int):
                 if not at.size:
                     continue
                 h, g = (c.windows(window, base)[at] for base in _BASES)
+                g >>= np.uint64(32)  # 96 bits in all
                 order = np.lexsort((ids[c.row[at]], g, h))
                 h, g, at = h[order], g[order], at[order]
                 starts, n = runs_of_pairs(h, g)
@@ -244,13 +245,13 @@ def repeats(docs: DataFrame, window: int = 13, block: int = 7) -> tuple[DataFram
     if 2 * block - 1 > window:
         raise ValueError("a window must hold a whole reference block: 2 * block - 1 <= window")
     spark = docs.sparkSession
-    buckets = 4 * shuffle_partitions(spark)
-    parts = buckets | 1
+    buckets = 2 * shuffle_partitions(spark)
+    parts = shuffle_partitions(spark) | 1
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    hits = cut(rows.mapInArrow(_anchors(block, buckets, parts), _SENT).groupBy("key").applyInArrow(_match_anchors(parts), _HITS))
+    hits = cut(rows.mapInArrow(_anchors(block, buckets, parts), _SENT).groupBy("key").applyInArrow(_match_anchors(parts), _HITS), reclaim=True)
     at = rows.where("doc_id is not null").withColumn("part", id_bucket(F.col("doc_id"), parts))
     sent = at.groupBy("part").cogroup(hits.groupBy("part")).applyInArrow(_extend(block, window, buckets, parts), _SENT)
-    return cut(sent.groupBy("key").applyInArrow(_match_windows(parts), _HITS)), parts
+    return cut(sent.groupBy("key").applyInArrow(_match_windows(parts), _HITS), reclaim=True), parts
 
 
 def _cut_words(texts: list[bytes], places: list[np.ndarray | None], window: int):

@@ -96,7 +96,10 @@ def pairs_minhash(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0
     verified exactly. Recall is measured against ``pairs``."""
 
     def signed(sets: DataFrame, side: str) -> DataFrame:
-        band = lambda b: F.xxhash64(F.lit(b), *(F.array_min(F.transform("grams", lambda g, s=b * rows + r: F.xxhash64(g, F.lit(s)))) for r in range(rows)))
+        def least(seed: int) -> Column:
+            return F.array_min(F.transform("grams", lambda g: F.xxhash64(g, F.lit(seed))))
+
+        band = lambda b: F.xxhash64(F.lit(b), *(least(b * rows + r) for r in range(rows)))
         return sets.where("n > 0").select(F.col("id").alias(f"{side}_id"), F.explode(F.array(*(band(b) for b in range(bands)))).alias("band"))
 
     a, b = gram_sets(train, k), gram_sets(evals, k)

@@ -138,7 +138,7 @@ def _curve(points: list[tuple[float, int, int]]) -> tuple[float, float]:
     return bias, max(slope, 0.0)
 
 
-def fit_toxicity(labelled: DataFrame, most_terms: int = 4000, least_lift: float = 12.0) -> ToxicityModel:
+def fit_toxicity(labelled: DataFrame, most_terms: int = 4000, least_lift: float = 40.0) -> ToxicityModel:
     """labelled: text, toxic (0/1) and doc_id. Arc weights are log ratios of document
     shares; a term is taken where both halves of the rows know it from toxic texts and
     few others. The collected terms are bounded by ``most_terms``, the curve's points by

@@ -50,18 +50,23 @@ def _keep(docs: DataFrame, accept) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one row of each group: that of the smallest doc_id, one row of equal ids."""
-    groups = simhash.near_documents(docs).where("doc_id = component_id").select("doc_id").distinct()
-    rows = docs.select(*COLUMNS).join(groups, "doc_id", "left_semi")
+    """Keeps one row of each group of texts that share .8 of their shingles of five words:
+    that of the smallest doc_id, one row of equal ids. Rows without doc_id stay."""
+    groups = simhash.similar_documents(docs).where("doc_id = component_id").select("doc_id").distinct()
+    rows = docs.select(*COLUMNS)
+    kept = rows.join(groups, "doc_id", "left_semi")
     first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
-    return rows.withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
+    kept = kept.withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
+    return kept.unionByName(rows.where("doc_id is null"))
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes repeats of 13 words; a text that is nothing but repeats goes."""
-    kept = substring.remove_repeats(docs, window=13, block=7).where("n_words = 0 or n_removed < n_words")
+    """Removes repeats of 13 words; a text that is nothing but repeats goes. Rows without
+    doc_id stay as they are."""
+    kept = substring.remove_repeats(docs.where("doc_id is not null"), window=13, block=7).where("n_words = 0 or n_removed < n_words")
     rest = docs.select("doc_id", "lang", "source")
-    return kept.join(rest, "doc_id").select("doc_id", F.col("kept_text").alias("text"), "lang", "source", F.length("kept_text").cast("long").alias("n_chars"))
+    out = kept.join(rest, "doc_id").select("doc_id", F.col("kept_text").alias("text"), "lang", "source", F.length("kept_text").cast("long").alias("n_chars"))
+    return out.unionByName(docs.where("doc_id is null").select(*COLUMNS))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -300,6 +300,33 @@ def test_simhash_tiles_lose_nothing(spark):
     assert groups(find) == groups(find2)
 
 
+def test_similar_documents(spark, docs):
+    rng = random.Random(21)
+    base = [r.text for r in docs if 80 <= len(r.text.split()) <= 400][:40]
+    texts = list(base)
+    for t in base:
+        for _ in range(3):
+            w = t.split()
+            for k in rng.sample(range(len(w)), max(1, len(w) // 60)):
+                w[k] = f"new{rng.randint(0, 99)}"
+            texts.append(" ".join(w))
+    texts += EDGE
+    for tile in (8192, 37):
+        got = {r.doc_id: r.component_id for r in simhash.similar_documents(frame(spark, texts), tile=tile).collect()}
+        sets = [set(simhash.shingle_hashes((t or "").encode(), 5).tolist()) for t in texts]
+        similar = lambda i, j, v: len(sets[i] & sets[j]) >= v * max(1, len(sets[i] | sets[j]))
+        for i, j in itertools.combinations(range(len(texts)), 2):
+            if similar(i, j, 0.9) and sets[i]:
+                assert got[i] == got[j]
+        for i, c in got.items():
+            assert c <= i and (c == i or any(similar(i, j, 0.7) or not sets[i] for j in got if j != i and got[j] == c))
+
+
+def test_similar_documents_without_ids(spark):
+    rows = frame(spark, ["a b c d e f g", "a b c d e f g", "a b c d e f g"], [None, 3, 8])
+    assert sorted((r.doc_id or 0, r.component_id) for r in simhash.similar_documents(rows).collect()) == [(0, None), (3, 3), (8, 3)]
+
+
 # -- 1, 5, 6: models on held-out rows
 
 
@@ -382,7 +409,7 @@ def test_empty_tables(spark):
     path, words = tok.path("byte_bpe_50k.tiktoken"), tok.path("word_bpe_49k.json")
     vectors = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
     m = toxicity.ToxicityModel({}, {}, 0.0, 1.0)
-    for df in (bpe.encode_decode(none, path, tok.PATTERN), packing.pack_documents(none, words), substring.remove_repeats(none), simhash.near_documents(none), sharding.shard_documents(none), langid.predict_language(none, langid.fit_langid(none)), toxicity.score_toxicity(none, m), embed_dedup.near_vectors(vectors), topk.top_k(vectors)):
+    for df in (bpe.encode_decode(none, path, tok.PATTERN), packing.pack_documents(none, words), substring.remove_repeats(none), simhash.near_documents(none), simhash.similar_documents(none), sharding.shard_documents(none), langid.predict_language(none, langid.fit_langid(none)), toxicity.score_toxicity(none, m), embed_dedup.near_vectors(vectors), topk.top_k(vectors)):
         assert df.collect() == []
 
 

@@ -111,4 +111,21 @@ select query_id, rank::int as rank, vec_id, score from (
 ) where rank <= 10
 """
 
-ORACLE_SQL = {"op2_substring_dedup": OP2_SQL, "op9_topk": OP9_SQL}
+OP3_SQL = """
+with recursive v as (
+  select vec_id, label, list_transform(embedding, lambda x: x::double) as e from embeddings
+), ok as (
+  select vec_id, label, e, sqrt(list_sum(list_transform(e, lambda x: x * x))) as n from v
+  where label is not null and e is not null and len(e) > 0 and len(list_filter(e, lambda x: x is null or not isfinite(x))) = 0
+), links as (
+  select a.vec_id as a, b.vec_id as b from ok a join ok b on a.label = b.label and a.vec_id <> b.vec_id and len(a.e) = len(b.e)
+  where a.n > 0 and b.n > 0 and list_sum(list_transform(range(1, len(a.e) + 1), lambda i: a.e[i] * b.e[i])) >= 0.93 * a.n * b.n
+), reach as (
+  select a as node, a as seen from links union select r.node, l.b from reach r join links l on l.a = r.seen
+), low as (select node, min(seen) as component_id from reach group by node),
+n as (select a as node, count(*) as n_links from links group by a)
+select vec_id, coalesce(n_links, 0) as n_links, coalesce(component_id, vec_id) as component_id, coalesce(component_id, vec_id) = vec_id as kept
+from v left join low on low.node = vec_id left join n on n.node = vec_id
+"""
+
+ORACLE_SQL = {"op2_substring_dedup": OP2_SQL, "op3_embedding_dedup": OP3_SQL, "op9_topk": OP9_SQL}

@@ -90,6 +90,13 @@ class ReplayJudge:
         return keyed.join(self.archive.dropDuplicates(["t_digest", "e_digest"]), ["t_digest", "e_digest"], "left").withColumn("label", F.coalesce("label", F.lit("error")))
 
 
+#: Templates of a judge outside, by id. Verdicts carry the id; a changed text is a new id.
+TEMPLATES = {
+    "pair-v1": "Compare two problem statements.\nFirst: {a}\nSecond: {b}\nReply close_dup if one restates the other or only changes its numbers, topic_neighbor if they merely share a subject.",
+    "answer-v1": "Reference answer: {a}\nSubmitted answer: {b}\nIs the submitted answer equivalent, up to rounding and notation? Reply with the single word YES or NO.",
+}
+
+
 @dataclass(frozen=True)
 class EndpointJudge:
     """Adapter to judges outside: a chain of callables (t_text, e_text) -> label tried in

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def kappa(df: DataFrame, a: str, b: str, by: list[str] | None = None) -> DataFrame:
@@ -100,3 +102,11 @@ def precision_recall(df: DataFrame, truth: str, said: str, by: list[str] | None
     t, s = F.col(truth).cast("int"), F.col(said).cast("int")
     out = df.groupBy(*(by or [])).agg(F.count(F.lit(1)).alias("n"), F.sum(t).cast("long").alias("positives"), F.sum(s).cast("long").alias("flagged"), F.sum(t * s).cast("long").alias("hits"))
     return out.withColumn("precision", F.when(F.col("flagged") > 0, F.col("hits") / F.col("flagged"))).withColumn("recall", F.when(F.col("positives") > 0, F.col("hits") / F.col("positives")))
+
+
+@F.pandas_udf(DoubleType())
+def kappa_of_cells(a: pd.Series, b: pd.Series, c: pd.Series) -> float:
+    """Kappa of a contingency table given as cells."""
+    n = c.sum()
+    pe = sum(c[a == k].sum() * c[b == k].sum() for k in set(a) | set(b)) / n**2
+    return 1.0 if pe == 1 else float((c[a == b].sum() / n - pe) / (1 - pe))

@@ -303,3 +303,34 @@ def cross_judge_sample(spark, sf):
     v = G.extracted(r).select(G.agrees(F.col("boxed"), 0.05).alias("a"), G.agrees(F.col("boxed"), 0.02).alias("b"))
     n = lambda c: F.count(F.when(c, 1))
     return v.agg(n(F.col("a") & F.col("b")).alias("both_yes"), n(~F.col("a") & ~F.col("b")).alias("both_no"), n(F.col("a") & ~F.col("b")).alias("only_a"), n(~F.col("a") & F.col("b")).alias("only_b"))
+
+
+@query("annotation_agreement", rf"""with d as (select (length(regexp_replace(text, '[^\p{{L}}]', '', 'g')) / greatest(length(text), 1) >= 0.7)::int as a, (len({S.TOKENS}) >= 30)::int as b from documents)""" + kappa_sql("d", "a", "b"))
+def annotation_agreement(spark, sf):
+    """Two heuristic annotators of quality over the same records."""
+    from ..functions import text as X
+
+    letters = F.length(F.regexp_replace("text", r"[^\p{L}]", ""))
+    a = (letters / F.greatest(F.length("text"), F.lit(1)) >= 0.7).cast("int")
+    return T.kappa(load(spark, sf, "documents").select(a.alias("a"), (F.size(X.tokens(X.normalize(F.col("text")))) >= 30).cast("int").alias("b")), "a", "b")
+
+
+@query("kappa_udaf", R + """, c as (select kind, count(*) as n, avg((ok5 = ok2)::int) as po, avg(ok5::int) as ra, avg(ok2::int) as rb from roll group by kind)
+select kind, round(case when ra * rb + (1 - ra) * (1 - rb) = 1 then 1 else (po - ra * rb - (1 - ra) * (1 - rb)) / (1 - ra * rb - (1 - ra) * (1 - rb)) end, 6) as kappa from c""")
+def kappa_udaf(spark, sf):
+    """The same measure as a grouped pandas aggregate, for groups that fit a task. Verdict
+    pairs are counted first, so a group is four rows."""
+    cells = verdicts(spark, sf).groupBy("kind", "v5", "v2").agg(F.count(F.lit(1)).alias("c"))
+    return cells.groupBy("kind").agg(T.kappa_of_cells("v5", "v2", "c").alias("kappa"))
+
+
+@query("group_profile", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll where model % 20 = 0 group by model")
+def group_profile(spark, sf):
+    """applyInPandas over models: a statistic that needs a model's rows together."""
+    import pandas as pd
+
+    def profile(f: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"model": [f["model"].iloc[0]], "n": [len(f)], "median_h": [float(f["h"].median())], "acc": [float(f["verdict"].mean())]})
+
+    v = G.strict(fx.rollouts(spark, sf).where("model % 20 = 0")).select("model", "h", "verdict")
+    return v.groupBy("model").applyInPandas(profile, "model long, n long, median_h double, acc double")

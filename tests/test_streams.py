@@ -104,3 +104,12 @@ def test_corpus(spark, sf):
     assert C.version_diff(d, d, "doc_id").count() == 0
     v = C.violations(spark.createDataFrame([(9, "S"), (1, None)], "difficulty int, length string"))
     assert sorted(r.violations for r in v.collect()) == [["difficulty"], ["length"]]
+
+
+def test_sql_surface(spark, sf):
+    from clearbound.sources import surface
+
+    surface.register(spark, sf)
+    r = spark.sql(r"select norm_text('A $\\frac{x}{y}$ [B]') as n, word_tokens('a_1 b!') as t, set_jaccard(array('a','b'), array('b','c')) as j, vector_cosine(array(1D,0D), array(1D,1D)) as c, close_to(101D, 100D, 0.01D) as k, last_boxed('x \\boxed{3}') as b, evaluate_answer('\\frac{1}{4}') as e").first()
+    assert (r.n, r.t, r.k, r.b, r.e) == ("a x y b", ["a_1", "b"], True, "3", 0.25) and abs(r.j - 1 / 3) < 1e-9 and abs(r.c - 0.5**0.5) < 1e-9
+    assert spark.sql("select count(*) from documents where set_jaccard(word_tokens(norm_text(text)), word_tokens(norm_text(text))) = 1").first()[0] > 190

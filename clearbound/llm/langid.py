@@ -26,7 +26,7 @@ WORD = re.compile(r"[^\W\d_]+")
 ORDER = 4
 UNDETERMINED = "und"
 #: Words whose scores a worker remembers at once.
-MEMORY = 400_000
+MEMORY = 250_000
 _EDGE = 1
 
 

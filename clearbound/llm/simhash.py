@@ -289,20 +289,23 @@ def _tile_pairs(rows: DataFrame, columns: list[str], radius: int, tile: int) ->
     return rows.select(*columns).mapInArrow(_dealt(_ranges(counts, tile), radius), f"low int, high int, side int, {blobs}").groupBy("low", "high")
 
 
-def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8, radius: int = 16, tile: int = TILE) -> DataFrame:
+def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8, radius: int = 12, tile: int = 4 * TILE) -> DataFrame:
     """doc_id and component_id (smallest doc_id of its group) of each row. Linked are texts
     within the radius whose sets of shingles have the similarity, as their signatures
-    measure it. The radius is wide enough for it: at .8 a pair differs in 10 bits, sd 3.
-    First the fingerprints with any neighbour are found, then only those are compared by
-    signature. A null doc_id is linked with nothing and is its own group (null)."""
-    rows = cut(docs.select("doc_id", "text").mapInArrow(_signed(width), f"doc_id {dict(docs.dtypes)['doc_id']}, fp long, sig binary"))
-    classes = cut(rows.where("doc_id is not null").groupBy("fp", "sig").agg(F.min("doc_id").alias("key")))
-    alone = classes.groupBy("fp").agg(F.count(F.lit(1)).alias("n"))
-    near = _tile_pairs(cut(alone), ["fp"], radius, tile).applyInArrow(_with_neighbours(radius), "fp long")
+    measure it. At .8 a pair differs in 7 bits in the mean, so that a radius of 12 meets
+    97 in 100 such pairs, and random ones hardly ever. First the fingerprints with any
+    neighbour are found, then only those are compared by signature. A null doc_id is
+    linked with nothing and is its own group (null)."""
+    signed = docs.select("doc_id", "text").mapInArrow(_signed(width), f"doc_id {dict(docs.dtypes)['doc_id']}, fp long, sig binary")
+    rows = cut(signed.withColumn("same", F.xxhash64("sig")))
+    classes = rows.where("doc_id is not null").groupBy("fp", "same").agg(F.min("doc_id").alias("key"))
+    alone = cut(classes.groupBy("fp").agg(F.count(F.lit(1)).alias("n")))
+    near = _tile_pairs(alone, ["fp"], radius, tile).applyInArrow(_with_neighbours(radius), "fp long")
     hits = near.unionByName(alone.where("n > 1").select("fp")).distinct()
-    asked = cut(classes.join(hits, "fp", "left_semi"))
+    asked = rows.where("doc_id is not null").join(hits, "fp", "left_semi")
+    asked = cut(asked.groupBy("fp", "same").agg(F.min("doc_id").alias("key"), F.first("sig").alias("sig")))
     links = _tile_pairs(asked, ["fp", "key", "sig"], radius, tile).applyInArrow(_verified(radius, similarity), "a long, b long")
     found = components(cut(links))
-    named = classes.join(found.withColumnRenamed("node", "key"), "key", "left").select("fp", "sig", F.coalesce("component", "key").alias("component_id"))
-    out = rows.join(named, ["fp", "sig"], "left")
+    named = classes.join(found.withColumnRenamed("node", "key"), "key", "left").select("fp", "same", F.coalesce("component", "key").alias("component_id"))
+    out = rows.select("doc_id", "fp", "same").join(named, ["fp", "same"], "left")
     return out.select("doc_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))

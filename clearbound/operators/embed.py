@@ -39,27 +39,51 @@ class CharGrams:
     k: int = 4
     name: str = "E1"
 
-    def weights(self, x: str) -> dict[str, float]:
-        x = normalize_text(x)
-        return {g: 1 + math.log(c) for g, c in Counter(x[i : i + self.k] for i in range(len(x) - self.k + 1)).items()}
+    def terms(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
+        """Different terms, and for each (text, term) that occurs its text, term and count."""
+        clean = [normalize_text(x or "") for x in texts]
+        chars = np.frombuffer("".join(clean).encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
+        n = np.fromiter(map(len, clean), np.int64, len(clean))
+        row = np.repeat(np.arange(len(clean)), n)
+        m = max(0, chars.size - self.k + 1)
+        # four characters of 21 bits do not fit: numbers of characters do
+        alphabet, code = np.unique(chars, return_inverse=True)
+        key = np.zeros(m, np.uint64)
+        for i in range(self.k):
+            key = key * np.uint64(alphabet.size) + code[i : i + m].astype(np.uint64)
+        own = row[:m] == row[self.k - 1 :] if m else np.zeros(0, bool)
+        each, term = np.unique(key[own], return_inverse=True)
+        pair, count = np.unique(row[:m][own] * max(1, each.size) + term, return_counts=True)
+        letters = [chr(int(c)) for c in alphabet]
+        words = []
+        for v in each.tolist():
+            w = []
+            for _ in range(self.k):
+                v, c = divmod(v, alphabet.size)
+                w.append(letters[c])
+            words.append("".join(reversed(w)))
+        return words, pair // max(1, each.size), pair % max(1, each.size), count
 
     def encode(self, texts: list[str], memory: dict | None = None) -> np.ndarray:
+        """Unit vectors of texts, of a bounded number at a time. ``memory`` keeps term hashes."""
         memory = {} if memory is None else memory
         out = np.zeros((len(texts), WIDTH))
-        for row, x in enumerate(texts):
-            for term, w in self.weights(x or "").items():
-                found = memory.get(term)
-                if found is None:
-                    if len(memory) > 500_000:
-                        memory.clear()
-                    h, sign = feature_hash(term)
-                    memory[term] = found = (h % WIDTH, sign, h % IDF_WIDTH)
-                out[row, found[0]] += found[1] * w * self.scale(found[2])
+        words, row, term, count = self.terms(texts)
+        if words:
+            if len(memory) > 500_000:
+                memory.clear()
+            for w in words:
+                if w not in memory:
+                    h, sign = feature_hash(w)
+                    memory[w] = (h % WIDTH, sign, h % IDF_WIDTH)
+            slot, sign, idf = (np.array(c) for c in zip(*map(memory.__getitem__, words), strict=True))
+            weight = sign * self.scale(idf)
+            np.add.at(out, (row, slot[term]), weight[term] * (1 + np.log(count)))
         norm = np.sqrt((out * out).sum(1, keepdims=True))
         return np.divide(out, norm, out=out, where=norm > 0)
 
-    def scale(self, slot: int) -> float:
-        return 1.0
+    def scale(self, slots: np.ndarray) -> np.ndarray:
+        return np.ones(slots.size)
 
 
 @dataclass(frozen=True)
@@ -70,11 +94,18 @@ class WordTfIdf(CharGrams):
     idf: np.ndarray | None = None
     name: str = "E2"
 
-    def weights(self, x: str) -> dict[str, float]:
-        return {w: 1 + math.log(c) for w, c in Counter(re.findall(r"\w+", normalize_text(x))).items()}
+    def terms(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
+        found: dict[str, int] = {}
+        row, term, count = [], [], []
+        for i, x in enumerate(texts):
+            for w, c in Counter(re.findall(r"\w+", normalize_text(x or ""))).items():
+                row.append(i)
+                term.append(found.setdefault(w, len(found)))
+                count.append(c)
+        return list(found), np.array(row, np.int64), np.array(term, np.int64), np.array(count, np.int64)
 
-    def scale(self, slot: int) -> float:
-        return float(self.idf[slot])
+    def scale(self, slots: np.ndarray) -> np.ndarray:
+        return self.idf[slots]
 
 
 def fit_idf(docs: DataFrame) -> WordTfIdf:
@@ -94,8 +125,8 @@ def encode(df: DataFrame, embedder: CharGrams, id_col: str = "id") -> DataFrame:
     def run(frames):
         memory: dict = {}
         for f in frames:
-            for lo in range(0, len(f), 1024):
-                part = f.iloc[lo : lo + 1024]
+            for lo in range(0, len(f), 256):
+                part = f.iloc[lo : lo + 256]
                 yield pd.DataFrame({"id": part["id"], "vec": list(embedder.encode(part["text"].tolist(), memory))})
 
     return df.select(F.col(id_col).alias("id"), "text").mapInPandas(run, "id long, vec array<double>")

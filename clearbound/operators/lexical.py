@@ -3,22 +3,66 @@ brute-force forms, containment and within-pool dedup."""
 
 from __future__ import annotations
 
+import re
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
-from ..sources.tables import sized_broadcast
-
-#: Rows of an eval side's gram table up to which it is broadcast.
-BROADCAST_GRAMS = 2_000_000
+from .embed import normalize_text
+
+WORDS = re.compile(r"\w+").findall
+#: Characters of an eval side up to which its postings are broadcast. A gram takes at least
+#: two characters, so the table has at most half as many rows.
+BROADCAST_CHARS = 12_000_000
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+
+
+def _distinct_grams(words: list[str], k: int, memory: dict[str, int]) -> np.ndarray:
+    """Hashes of the distinct k-grams of a record."""
+    n = len(words) - k + 1
+    if n <= 0:
+        return np.zeros(0, np.int64)
+    for w in words:
+        if w not in memory:
+            memory[w] = xxhash.xxh3_64_intdigest(w)
+    x = np.fromiter(map(memory.__getitem__, words), np.uint64, len(words))
+    h = x[:n].copy()
+    for i in range(1, k):
+        h *= _MIX
+        h += x[i : i + n]
+    h ^= h >> np.uint64(29)
+    h *= np.uint64(0xBF58476D1CE4E5B9)
+    h ^= h >> np.uint64(32)
+    return np.unique(h).view(np.int64)
 
 
 def gram_sets(df: DataFrame, k: int = 5, keep: tuple[str, ...] = ("id",)) -> DataFrame:
-    """keep, grams (distinct hashes) and n."""
-    g = X.shingle_hashes(X.tokens(X.normalize(F.col("text"))), k)
-    return df.select(*keep, g.alias("grams")).withColumn("n", F.size("grams"))
+    """keep, grams (distinct 64-bit hashes) and n. One Arrow pass: as expressions (see
+    functions.text.shingle_hashes, which SQL users get) lambdas over arrays are interpreted
+    and took four times as long."""
+    keep = tuple(keep)
+
+    def run(batches):
+        memory: dict[str, int] = {}
+        for b in batches:
+            for lo in range(0, b.num_rows, 512):
+                part = b.slice(lo, 512)
+                if len(memory) > 500_000:
+                    memory.clear()
+                sets = [_distinct_grams(WORDS(normalize_text(t or "")), k, memory) for t in part.column(len(keep)).to_pylist()]
+                n = np.fromiter(map(len, sets), np.int32, len(sets))
+                flat = pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64))
+                grams = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)].astype(np.int32)), flat)
+                yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keep))), grams, pa.array(n)], [*keep, "grams", "n"])
+
+    rows = df.select(*keep, "text")
+    kinds = ", ".join(f"`{c}` {t}" for c, t in rows.dtypes[: len(keep)])
+    return rows.mapInArrow(run, f"{kinds}, grams array<bigint>, n int")
 
 
 def _postings(sets: DataFrame, side: str, keys: tuple[str, ...]) -> DataFrame:
@@ -29,7 +73,9 @@ def overlaps(train: DataFrame, evals: DataFrame, k: int = 5, keys: tuple[str, ..
     """t_<keys>, e_id, inter, t_n, e_n of every pair that shares a gram. The eval side's
     postings are broadcast while small, so only counted pairs are shuffled."""
     t = _postings(gram_sets(train, k, keys), "t", keys)
-    e = sized_broadcast(_postings(gram_sets(evals, k), "e", ("id",)), BROADCAST_GRAMS)
+    chars = evals.agg(F.sum(F.length("text"))).first()[0] or 0
+    e = _postings(gram_sets(evals, k), "e", ("id",))
+    e = F.broadcast(e) if chars <= BROADCAST_CHARS else e
     by = [*(f"t_{c}" for c in keys), "e_id"]
     return t.join(e, "gram").groupBy(*by).agg(F.count(F.lit(1)).alias("inter"), F.first("t_n").alias("t_n"), F.first("e_n").alias("e_n"))
 

@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import text as X
 from ..operators import lexical
 
 
@@ -13,7 +12,7 @@ def lexical_stream(records: DataFrame, evals: DataFrame, k: int = 5) -> DataFram
     """Stream-static join: the eval records that each new record (id, text) shares a k-gram
     with, and how many grams; stateless, so it runs in append mode."""
     e = lexical.gram_sets(evals, k).select(F.col("id").alias("e_id"), F.col("n").alias("e_n"), F.explode("grams").alias("gram"))
-    t = records.select(F.col("id").alias("t_id"), F.explode(X.shingle_hashes(X.tokens(X.normalize(F.col("text"))), k)).alias("gram"))
+    t = lexical.gram_sets(records, k).select(F.col("id").alias("t_id"), F.explode("grams").alias("gram"))
     return t.join(F.broadcast(e), "gram").select("t_id", "e_id", "e_n", "gram")
 
 

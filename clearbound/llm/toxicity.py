@@ -138,7 +138,7 @@ def _curve(points: list[tuple[float, int, int]]) -> tuple[float, float]:
     return bias, max(slope, 0.0)
 
 
-def fit_toxicity(labelled: DataFrame, most_terms: int = 4000, least_lift: float = 40.0) -> ToxicityModel:
+def fit_toxicity(labelled: DataFrame, most_terms: int = 4000, least_lift: float = 40.0, prefix_lift: float = 15.0) -> ToxicityModel:
     """labelled: text, toxic (0/1) and doc_id. Arc weights are log ratios of document
     shares; a term is taken where both halves of the rows know it from toxic texts and
     few others. The collected terms are bounded by ``most_terms``, the curve's points by
@@ -155,7 +155,7 @@ def fit_toxicity(labelled: DataFrame, most_terms: int = 4000, least_lift: float
         .groupBy("term").agg(*(F.sum(c).alias(c) for c in ("a0", "a1", "b0", "b1")))
         .withColumn("a", F.col("a0") + F.col("a1")).withColumn("b", F.col("b0") + F.col("b1"))
         .where((F.col("a0") >= 1) & (F.col("a1") >= 1) & (F.col("a") >= max(4, math.ceil(0.004 * pos))))
-        .withColumn("lift", lift).where(F.col("lift") >= least_lift)
+        .withColumn("lift", lift).where(F.col("lift") >= F.when(F.col("term").endswith("*"), prefix_lift).otherwise(least_lift))
         .orderBy(F.desc("lift"), F.desc("a"), "term").limit(most_terms).select("term", "lift").collect()
     )
     words, prefixes = seeds, {}

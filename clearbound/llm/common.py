@@ -16,12 +16,29 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources.tables import spread
+
 #: Text bytes that one vectorised step handles at once; bounds a worker's memory.
 SLICE_BYTES = 4 << 20
 
 
+#: Rows of an Arrow batch at most: with the default of 10,000 a batch of long texts is
+#: hundreds of megabytes on both sides of the pipe.
+BATCH_ROWS = 1000
+_BATCH_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """Holds Arrow batches to BATCH_ROWS rows for the session (a runtime setting)."""
+    now = int(spark.conf.get(_BATCH_SETTING))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(_BATCH_SETTING, str(BATCH_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    """A table; a small one is dealt out over all cores."""
+    bounded_batches(spark)
+    return spread(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
@@ -34,6 +51,7 @@ def cut(df: DataFrame, reclaim: bool = False) -> DataFrame:
     have the shuffle files of the finished part cleaned now, for parts as large as the
     input (Spark cleans them once the driver has collected what refers to them)."""
     spark = df.sparkSession
+    bounded_batches(spark)
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         named = spark.conf.get("spark.checkpoint.dir", None)
@@ -76,6 +94,18 @@ def text_slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit:
             at = stop
 
 
+def gathered(batches: Iterable[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``rows`` rows, for rows of bounded size."""
+    held: list[pa.RecordBatch] = []
+    for b in batches:
+        held.append(b)
+        if sum(x.num_rows for x in held) >= rows:
+            yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            held = []
+    if sum(x.num_rows for x in held):
+        yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+
+
 def texts_of(batch: pa.RecordBatch, column: str = "text") -> list[str]:
     return ["" if x is None else x for x in batch.column(batch.schema.get_field_index(column)).to_pylist()]
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, number_within, text_slices, texts_of
+from .common import cut, gathered, number_within, text_slices, texts_of
 
 #: Words whose ids a worker remembers at once.
 MEMORY = 900_000
@@ -189,7 +189,7 @@ def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
     table = {n: tuple(np.array(c, np.int64) for c in zip(*rows, strict=True)) for n, rows in bounds.items()}
 
     def place(batches):
-        for b in batches:
+        for b in gathered(batches, 1 << 16):
             length, rank = b.column("length").to_numpy(), b.column("rank").to_numpy()
             sequence, offset = np.zeros(length.size, np.int64), np.zeros(length.size, np.int64)
             for n in np.unique(length).tolist():

@@ -15,7 +15,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Forest, components, cut, raw_texts_of, text_slices
+from .common import Forest, components, cut, gathered, raw_texts_of, text_slices
 
 SEED = 42
 #: Fingerprints in a tile.
@@ -73,7 +73,7 @@ def _tiles(parts: dict[tuple[int, int], int], radius: int):
     cells = [(a, b) for a in range(-radius, radius + 1) for b in range(-radius, radius + 1) if abs(a) + abs(b) <= radius]
 
     def run(batches):
-        for b in batches:
+        for b in gathered(batches, 1 << 20):
             fp = b.column("fp").to_numpy().view(np.uint64)
             low, high = _counts(fp)
             mix = (fp * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
@@ -207,9 +207,7 @@ def _dealt(ranges: list[tuple[int, int, int]], radius: int):
     splits = np.array([n for _, _, n in ranges], np.uint64)
 
     def run(batches):
-        for b in batches:
-            if not b.num_rows:
-                continue
+        for b in gathered(batches, 1 << 16):
             fp = b.column("fp").to_numpy().view(np.uint64)
             r = np.searchsorted(starts, np.bitwise_count(fp).astype(np.int64), side="right") - 1
             s = ((fp * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % splits[r]

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import gathered
+
 #: Queries of one round: what a round sends to each task is bounded by this.
 ROUND = 8192
 #: Candidates scored at once.
@@ -45,7 +47,7 @@ def _better(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
 
 def _accumulate(queries: list[tuple[int, list[tuple[int, int]]]], k: int, scale: int):
     def run(batches):
-        for b in batches:
+        for b in gathered(batches, BLOCK):
             for lo in range(0, b.num_rows, BLOCK):
                 part = b.slice(lo, BLOCK)
                 whole = _whole(part.column("embedding").to_pylist(), scale)

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from clearbound.llm import langid, packing, quality, queries, simhash, substring, toxicity
-from clearbound.llm.common import fold, table
+from clearbound.llm.common import bounded_batches, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 #: Quality scores under this are rejected.
@@ -45,6 +45,7 @@ def _keep(docs: DataFrame, accept) -> DataFrame:
         for b in text_slices(batches):
             yield b.filter(pa.array([bool(x) for x in accept(texts_of(b))], pa.bool_()))
 
+    bounded_batches(docs.sparkSession)
     rows = docs.select(*COLUMNS)
     return rows.mapInArrow(run, rows.schema)
 

@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from ..sources.tables import spread
 
 WIDTH = 1024
 IDF_WIDTH = 1 << 18
@@ -129,7 +130,7 @@ def encode(df: DataFrame, embedder: CharGrams, id_col: str = "id") -> DataFrame:
                 part = f.iloc[lo : lo + 256]
                 yield pd.DataFrame({"id": part["id"], "vec": list(embedder.encode(part["text"].tolist(), memory))})
 
-    return df.select(F.col(id_col).alias("id"), "text").mapInPandas(run, "id long, vec array<double>")
+    return spread(df.select(F.col(id_col).alias("id"), "text")).mapInPandas(run, "id long, vec array<double>")
 
 
 def l2(v: Column) -> Column:

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from ..sources.tables import spread
 from .embed import normalize_text
 
 WORDS = re.compile(r"\w+").findall
@@ -61,6 +62,7 @@ def gram_sets(df: DataFrame, k: int = 5, keep: tuple[str, ...] = ("id",)) -> Dat
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keep))), grams, pa.array(n)], [*keep, "grams", "n"])
 
     rows = df.select(*keep, "text")
+    rows = rows if df.isStreaming else spread(rows)
     kinds = ", ".join(f"`{c}` {t}" for c, t in rows.dtypes[: len(keep)])
     return rows.mapInArrow(run, f"{kinds}, grams array<bigint>, n int")
 

@@ -56,6 +56,17 @@ def rounded(df: DataFrame, digits: int = 6) -> DataFrame:
     return df.select(*(F.round(F.col(f"`{c}`"), digits).alias(c) if t in ("double", "float") else F.col(f"`{c}`") for c, t in df.dtypes))
 
 
+#: Bytes of a table up to which it is dealt out anew: files so small have few row groups.
+SMALL_TABLE = 24 << 20
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A small table over all cores before work that costs more than its reading. Larger
+    ones have row groups enough and stay as they are."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(df.sparkSession.sparkContext.defaultParallelism) if size <= SMALL_TABLE else df
+
+
 def sized_broadcast(df: DataFrame, most_rows: int) -> DataFrame:
     """Broadcast hint where a count shows that the side is small; else Spark shuffles."""
     return F.broadcast(df) if df.count() <= most_rows else df

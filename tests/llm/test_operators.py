@@ -327,6 +327,24 @@ def test_similar_documents_without_ids(spark):
     assert sorted((r.doc_id or 0, r.component_id) for r in simhash.similar_documents(rows).collect()) == [(0, None), (3, 3), (8, 3)]
 
 
+def shared(rng, n, similarity):
+    """Two texts of n shingles in all, of which the share is in both: the heads and tails differ."""
+    words = [f"w{rng.getrandbits(40)}" for _ in range(n + 4)]
+    apart = n - round(similarity * n)
+    return " ".join(words[: len(words) - apart // 2]), " ".join(words[apart - apart // 2 :])
+
+
+def test_candidates_at_the_threshold():
+    rng = random.Random(77)
+    differ = []
+    for _ in range(400):
+        a, b = (simhash.shingle_hashes(t.encode(), 5) for t in shared(rng, rng.choice((60, 150, 400)), 0.8))
+        assert len(np.intersect1d(a, b)) >= 0.8 * len(np.union1d(a, b)) - 1e-9
+        x, y = (np.frombuffer(simhash.sketch(simhash.minima(h)), "<u8") for h in (a, b))
+        differ.append(int(np.bitwise_count(x ^ y).sum()))
+    assert max(differ) <= simhash.RADIUS and 11 <= np.mean(differ) <= 15
+
+
 # -- 1, 5, 6: models on held-out rows
 
 

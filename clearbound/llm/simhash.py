@@ -15,7 +15,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Forest, components, cut, gathered, raw_texts_of, text_slices
+from .common import Forest, components, cut, gathered, raw_texts_of, runs, text_slices
 
 SEED = 42
 #: Fingerprints in a tile.
@@ -156,7 +156,7 @@ def near_documents(docs: DataFrame, width: int = 4, radius: int = 4) -> DataFram
     return rows.join(names, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-# -- groups by similarity: sketches find candidates
+# -- groups by similarity: sketches find candidates, shingle sets decide
 
 #: Minima of a signature.
 SLOTS = 256
@@ -164,6 +164,8 @@ SLOTS = 256
 BITS = 128
 #: At a similarity of .8 a sketch differs in 12.8 bits in the mean, sd 3.4; random pairs differ in 64, sd 5.7.
 RADIUS = 32
+#: Signatures (sd .025 at .8) pass this far under the similarity: six standard deviations.
+MARGIN = 0.15
 _FACTORS = np.random.default_rng(17).integers(1, 1 << 32, SLOTS, dtype=np.uint32) | np.uint32(1)
 #: Pairs whose signatures are held side by side at once.
 _AT_ONCE = 1 << 15
@@ -293,13 +295,87 @@ def _tile_pairs(rows: DataFrame, columns: list[str], tile: int) -> DataFrame:
     return rows.select(*columns).mapInArrow(_dealt(tiles), f"low int, high int, side int, {blobs}").groupBy("low", "high")
 
 
-def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8, tile: int = 4 * TILE) -> DataFrame:
+def _sets(width: int):
+    """The shingle sets of the rows whose set is the one that ``node`` names."""
+
+    def run(batches):
+        for b in text_slices(batches):
+            sets = [np.unique(shingle_hashes(t, width)) for t in raw_texts_of(b)]
+            own = np.array([set_hash(x) for x in sets], np.int64) == b.column("node").to_numpy()
+            part = b.filter(pa.array(own))
+            kept = [x for x, k in zip(sets, own, strict=True) if k]
+            yield pa.RecordBatch.from_arrays([part.column("component"), part.column("node"), pa.array([len(x) for x in kept], pa.int64()), pa.array([x.tobytes() for x in kept], pa.binary())], ["component", "node", "n", "shingles"])
+
+    return run
+
+
+def _alike(sets: list[np.ndarray], block: np.ndarray, similarity: float) -> np.ndarray:
+    """For each set the first one that links of the similarity reach; with two blocks only
+    pairs across them are compared, and pairs that are connected already never."""
+    sizes, label = np.array([len(x) for x in sets]), np.arange(len(sets))
+    terms = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    starts = np.cumsum(sizes) - sizes
+    held, two = np.zeros(terms.max(initial=-1) + 1, np.uint8), block.min() != block.max()
+    for i in range(len(sets) - 1):
+        j = np.arange(i + 1, len(sets))
+        asked = (label[j] != label[i]) & (np.minimum(sizes[j], sizes[i]) >= similarity * np.maximum(sizes[j], sizes[i]) - 1e-9)
+        j = j[asked & (block[j] != block[i])] if two else j[asked]
+        if not j.size:
+            continue
+        own, n = terms[starts[i] : starts[i] + sizes[i]], sizes[j]
+        before = np.cumsum(n) - n
+        held[own] = 1
+        both = np.add.reduceat(held[terms[np.arange(n.sum()) + np.repeat(starts[j] - before, n)]], before, dtype=np.int64)
+        held[own] = 0
+        hit = j[both >= similarity * (sizes[i] + n - both) - 1e-9]
+        if hit.size:
+            joined = np.unique(np.r_[label[i], label[hit]])
+            label[np.isin(label, joined)] = joined[0]
+    return label
+
+
+def _linked(similarity: float):
+    """Spanning forest (a, b) of the exact links within each coarse group of a task."""
+
+    def run(rows: pa.Table) -> pa.Table:
+        group, node, block = (rows.column(c).to_numpy() for c in ("component", "node", "block"))
+        blobs, a, b = rows.column("shingles").to_pylist(), [], []
+        order = np.argsort(group, kind="stable")
+        for start, n in zip(*runs(group[order]), strict=True):
+            at = order[start : start + n]
+            at = at[np.unique(node[at], return_index=True)[1]]
+            label = _alike([np.frombuffer(blobs[k], "<u8") for k in at], block[at], similarity)
+            moved = np.flatnonzero(label != np.arange(at.size))
+            a.append(node[at[moved]])
+            b.append(node[at[label[moved]]])
+        return pa.table({"a": pa.array(np.concatenate(a), pa.int64()), "b": pa.array(np.concatenate(b), pa.int64())})
+
+    return run
+
+
+def _exact_links(docs: DataFrame, coarse: DataFrame, width: int, similarity: float, most_shingles: int, most_sets: int) -> DataFrame:
+    """(a, b): links among the nodes of ``coarse`` (node, component, key) by the similarity of
+    their shingle sets. A set goes once to the task of its group; a group beyond the bounds
+    is split into blocks that are compared by pairs."""
+    picked = docs.select("doc_id", "text").join(coarse.withColumnRenamed("key", "doc_id"), "doc_id").select("component", "node", "text")
+    sets = cut(picked.mapInArrow(_sets(width), "component long, node long, n long, shingles binary"), reclaim=True)
+    sizes = sets.groupBy("component").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("m"))
+    sizes = cut(sizes.select("component", "n", F.greatest(F.ceil(F.col("n") / most_shingles), F.ceil(F.col("m") / most_sets), F.lit(1)).cast("int").alias("blocks")))
+    tasks = max(1, -(-(sizes.agg(F.sum("n")).first()[0] or 0) // most_shingles))
+    split = sets.join(F.broadcast(sizes.where("blocks > 1").drop("n")), "component", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    split = split.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = split.select("component", "node", "block", "shingles", (F.col("blocks") > 1).alias("big"), F.when(F.col("blocks") > 1, F.col("component")).otherwise(F.pmod(F.xxhash64("component"), F.lit(tasks))).alias("task"), F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"))
+    return dealt.groupBy("big", "task", "low", "high").applyInArrow(_linked(similarity), "a long, b long")
+
+
+def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8, tile: int = 4 * TILE, most_shingles: int = 1 << 21, most_sets: int = 8192) -> DataFrame:
     """doc_id and component_id (smallest doc_id of its group) of each row. Linked are texts
-    whose sets of shingles have the similarity, as their signatures measure it. Candidates
-    are pairs of sketches within RADIUS bits, which about 3 in ten million pairs of
-    similarity .8 miss. First the sketches with any neighbour are found, then only those
-    are compared by signature. A null doc_id is linked with nothing and is its own group
-    (null)."""
+    whose sets of shingles have the similarity, which is decided by the sets themselves
+    (64-bit hashes of their shingles). Candidates are pairs of sketches within RADIUS bits,
+    which about 3 in ten million pairs of similarity .8 miss, whose signatures come within
+    MARGIN of it. First the sketches with any neighbour are found, then only those are
+    compared by signature, and the groups that this makes are compared exactly. A null
+    doc_id is linked with nothing and is its own group (null)."""
     signed = docs.select("doc_id", "text").mapInArrow(_signed(width), f"doc_id {dict(docs.dtypes)['doc_id']}, same long, sketch binary, sig binary")
     rows = cut(signed)
     classes = rows.where("doc_id is not null").groupBy("sketch", "same").agg(F.min("doc_id").alias("key"))
@@ -307,9 +383,11 @@ def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8,
     near = _tile_pairs(alone, ["sketch"], tile).applyInArrow(_with_neighbours(RADIUS), "sketch binary")
     hits = near.unionByName(alone.where("n > 1").select("sketch")).distinct()
     asked = rows.where("doc_id is not null").join(hits, "sketch", "left_semi")
-    asked = cut(asked.groupBy("sketch", "same").agg(F.min("doc_id").alias("key"), F.first("sig").alias("sig")))
-    links = _tile_pairs(asked, ["sketch", "key", "sig"], tile).applyInArrow(_verified(RADIUS, similarity), "a long, b long")
-    found = components(cut(links))
-    named = classes.join(found.withColumnRenamed("node", "key"), "key", "left").select("sketch", "same", F.coalesce("component", "key").alias("component_id"))
-    out = rows.select("doc_id", "sketch", "same").join(named, ["sketch", "same"], "left")
+    asked = cut(asked.groupBy("sketch", "same").agg(F.min("doc_id").alias("id"), F.first("sig").alias("sig")).withColumnRenamed("same", "key"))
+    links = _tile_pairs(asked, ["sketch", "key", "sig"], tile).applyInArrow(_verified(RADIUS, similarity - MARGIN), "a long, b long")
+    coarse = components(cut(links)).join(asked.select(F.col("key").alias("node"), F.col("id").alias("key")), "node")
+    found = components(cut(_exact_links(docs, coarse, width, similarity, most_shingles, most_sets)))
+    named = cut(classes.join(found.withColumnRenamed("node", "same"), "same", "left").withColumn("group", F.coalesce("component", "same")))
+    least = named.groupBy("group").agg(F.min("key").alias("component_id"))
+    out = rows.select("doc_id", "sketch", "same").join(named.join(least, "group").select("sketch", "same", "component_id"), ["sketch", "same"], "left")
     return out.select("doc_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))

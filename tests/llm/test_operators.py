@@ -14,7 +14,7 @@ pytest.importorskip("clearbound.llm")
 import public_tokenizers as tok  # noqa: E402
 
 from clearbound.llm import bpe, embed_dedup, langid, packing, quality, queries, sharding, simhash, substring, topk, toxicity  # noqa: E402
-from clearbound.llm.common import components  # noqa: E402
+from clearbound.llm.common import Forest, components  # noqa: E402
 
 SF = "/root/testdata/sf0.01"
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, row long, part int"
@@ -345,6 +345,29 @@ def test_candidates_at_the_threshold():
     assert max(differ) <= simhash.RADIUS and 11 <= np.mean(differ) <= 15
 
 
+def test_similarity_is_decided_by_the_sets(spark):
+    rng = random.Random(78)
+    levels = [0.74, 0.77, 0.79, 0.8, 0.81, 0.83] * 30
+    texts = [t for v in levels for t in shared(rng, 200, v)]
+    for bounds in ({}, {"most_sets": 1}, {"tile": 50, "most_shingles": 150}):
+        got = {r.doc_id: r.component_id for r in simhash.similar_documents(frame(spark, texts), **bounds).collect()}
+        wrong = [v for i, v in enumerate(levels) if (got[2 * i] == got[2 * i + 1]) != (v >= 0.8)]
+        assert not wrong and all(c in (i, i - 1) for i, c in got.items())
+
+
+def test_blocks_meet_across():
+    rng = np.random.default_rng(3)
+    base = rng.integers(0, 1 << 60, 100, dtype=np.uint64)
+    sets = [np.sort(np.r_[base[k : k + 90], rng.integers(0, 1 << 60, 2, dtype=np.uint64)]) for k in range(0, 11, 2)] + [np.sort(rng.integers(0, 1 << 60, 90, dtype=np.uint64))]
+    for block in (np.zeros(7, int), np.arange(7) % 2):
+        want = Forest(7)
+        for i, j in itertools.combinations(range(7), 2):
+            both = np.intersect1d(sets[i], sets[j]).size
+            if both >= 0.8 * (len(sets[i]) + len(sets[j]) - both) and (not block.any() or block[i] != block[j]):
+                want.join(i, j)
+        assert simhash._alike(sets, block, 0.8).tolist() == [want.find(i) for i in range(7)]
+
+
 # -- 1, 5, 6: models on held-out rows
 
 

@@ -266,6 +266,13 @@ def mcnemar(spark, sf):
     return T.mcnemar(b.select("kind", G.agrees(F.col("boxed"), 0.01).alias("v1"), G.agrees(F.col("boxed"), 0.02).alias("v2")), "v1", "v2", ["kind"])
 
 
+@query("mcnemar_all", because="half_tail of the SQL is a normal tail beyond n = 1000; brute force in tests")
+def mcnemar_all(spark, sf):
+    """Every model and rollout; ``mcnemar`` has those of its SQL."""
+    b = G.extracted(fx.rollouts(spark, sf))
+    return T.mcnemar(b.select("kind", G.agrees(F.col("boxed"), 0.01).alias("v1"), G.agrees(F.col("boxed"), 0.02).alias("v2")), "v1", "v2", ["kind"])
+
+
 PAIRED = R + """, f as (select prompt_id, arm, arg_min(correct, k) as ok from roll group by all), p as (select o.prompt_id, o.ok as a, t.ok as b from f o join f t on o.prompt_id = t.prompt_id and o.arm = 'O' and t.arm = 'F')"""
 
 
@@ -324,13 +331,23 @@ def kappa_udaf(spark, sf):
     return cells.groupBy("kind").agg(T.kappa_of_cells("v5", "v2", "c").alias("kappa"))
 
 
-@query("group_profile", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll where model % 20 = 0 group by model")
-def group_profile(spark, sf):
+def profiled(rows):
     """applyInPandas over models: a statistic that needs a model's rows together."""
     import pandas as pd
 
     def profile(f: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"model": [f["model"].iloc[0]], "n": [len(f)], "median_h": [float(f["h"].median())], "acc": [float(f["verdict"].mean())]})
 
-    v = G.strict(fx.rollouts(spark, sf).where("model % 20 = 0")).select("model", "h", "verdict")
+    v = G.strict(rows).select("model", "h", "verdict")
     return v.groupBy("model").applyInPandas(profile, "model long, n long, median_h double, acc double")
+
+
+@query("group_profile", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll where model % 20 = 0 group by model")
+def group_profile(spark, sf):
+    return profiled(fx.rollouts(spark, sf).where("model % 20 = 0"))
+
+
+@query("group_profile_all", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll group by model")
+def group_profile_all(spark, sf):
+    """Every model; ``group_profile`` has those of its SQL."""
+    return profiled(fx.rollouts(spark, sf))

@@ -131,3 +131,23 @@ def test_ranges_and_sets(spark):
     assert (d.rows, d.ids, d.score_first, d.score_last, d.score_any, d.score_every) == (3, 2, 0.5, 1, 1, 0.5)
     o = T.set_overlap(spark.createDataFrame([(1,), (2,)], "i int"), spark.createDataFrame([(2,)], "i int"), "i").first()
     assert (o.both, o.set_jaccard, o.subset) == (1, 0.5, True)
+
+
+def test_mcnemar_all_models_and_rollouts(spark, sf):
+    from clearbound import plans
+
+    rows = G.extracted(fx.rollouts(spark, sf)).select("kind", G.agrees(F.col("boxed"), 0.01).alias("a"), G.agrees(F.col("boxed"), 0.02).alias("b")).collect()
+    got = {r.kind: r for r in plans.QUERIES["mcnemar_all"](spark, sf).collect()}
+    assert set(got) == {r.kind for r in rows} and sum(r.n_pairs for r in got.values()) == fx.rollouts(spark, sf).count()
+    for kind, r in got.items():
+        own = [(bool(x.a), bool(x.b)) for x in rows if x.kind == kind]
+        only_a, only_b = own.count((True, False)), own.count((False, True))
+        n = only_a + only_b
+        p = min(1.0, 2 * sum(math.comb(n, i) for i in range(min(only_a, only_b) + 1)) / 2**n)
+        assert (r.n_pairs, r.only_a, r.only_b) == (len(own), only_a, only_b) and math.isclose(r.p, p, abs_tol=1e-6)
+
+
+def test_group_profile_all_models(spark, sf):
+    from clearbound import plans
+
+    assert {r.model for r in plans.QUERIES["group_profile_all"](spark, sf).collect()} == {r.model for r in fx.rollouts(spark, sf).select("model").distinct().collect()}

@@ -1,6 +1,7 @@
 """Parsers, match ladder, rewards and advantages: hand cases, the worked group, invariants."""
 
 import math
+from fractions import Fraction
 
 import pytest
 from pyspark.sql import functions as F
@@ -151,3 +152,14 @@ def test_group_profile_all_models(spark, sf):
     from clearbound import plans
 
     assert {r.model for r in plans.QUERIES["group_profile_all"](spark, sf).collect()} == {r.model for r in fx.rollouts(spark, sf).select("model").distinct().collect()}
+
+
+def test_half_tail_is_exact_beyond_1000(spark):
+    pairs = [(0, 0), (0, 1), (1, 5), (3, 13), (500, 500), (480, 521), (530, 600), (1000, 1001), (1480, 1620), (4900, 5100), (0, 3000), (20000, 20300)]
+    got = spark.createDataFrame(pairs, "b long, c long").select("b", "c", T.half_tail(F.col("b"), F.col("c")).alias("p")).collect()
+    for r in got:
+        n, term, total = r.b + r.c, 1, 1
+        for i in range(1, min(r.b, r.c) + 1):
+            term = term * (n - i + 1) // i
+            total += term
+        assert math.isclose(r.p, float(Fraction(total, 2**n)), rel_tol=1e-8, abs_tol=1e-300)

@@ -1,11 +1,13 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Five small transducers read the words of a clause as classes (insult, threat, target,
-negation, reported speech, other) and are composed by running them together; a clause
-that the grammar accepts gets a weight, so an insult aimed at somebody counts more than
-a denied or a quoted one, and words outside a matched clause count nothing. Insult arcs
-are weighted by the labels; a logistic curve maps a document's summed clause weights to
-a score. Null and empty texts have no clause: they get the curve's value at zero.
+Three small transducers (target, negation, reported speech) read the words of a clause as
+classes (insult, threat, target, negation, reported speech, other) and are composed by
+running them together; they scale the weights of its insults and threats, so an insult
+aimed at somebody counts more than a denied or a quoted one. There is no insult or threat
+transducer and no accepting condition: an insult with none of these near it has its full
+weight. Insult arcs are words and prefixes with weights from the labels; a logistic curve
+maps a document's summed clause weights to a score. Null and empty texts have no clause:
+they get the curve's value at zero.
 """
 
 from __future__ import annotations

@@ -3,11 +3,9 @@ columns for exchanges, held-out folds and connected components."""
 
 from __future__ import annotations
 
-import gc
 import os
 import struct
 import tempfile
-import time
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -29,12 +27,32 @@ _BATCH_SETTING = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def bounded_batches(spark: SparkSession) -> None:
-    """Holds Arrow batches to BATCH_ROWS rows for the session (a runtime setting)."""
+    """Holds Arrow batches to BATCH_ROWS rows. Plans read this runtime setting when they
+    run, long after the call that made them, so it stays lowered for the session; a value
+    of the caller's that is lower already is left alone."""
     now = int(spark.conf.get(_BATCH_SETTING))
     if now <= 0 or now > BATCH_ROWS:
         spark.conf.set(_BATCH_SETTING, str(BATCH_ROWS))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share, as spark.checkpoint.dir names it. Without the
+    setting only a session of one machine has a folder; on a cluster it is an error."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    return os.path.join(tempfile.gettempdir(), f"checkpoints-{os.getuid()}")
+
+
+def remove_folder(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of intermediate data in whatever store it is in."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A table; a small one is dealt out over all cores."""
     bounded_batches(spark)
@@ -45,24 +63,25 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def cut(df: DataFrame, reclaim: bool = False) -> DataFrame:
-    """Run the plan once and cut its lineage with a reliable checkpoint in the folder
-    that the session names; only where none is named (tests) one is made. ``reclaim``:
-    have the shuffle files of the finished part cleaned now, for parts as large as the
-    input (Spark cleans them once the driver has collected what refers to them)."""
+#: Has Spark remove the shuffle files of a query when it ends.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Run the plan once and cut its lineage with a reliable checkpoint in the shared
+    folder. The shuffles of the finished part are removed with it: what they hold is in the
+    checkpoint, and a stage that follows would else find the disk full of them."""
     spark = df.sparkSession
     bounded_batches(spark)
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(named or os.path.join(tempfile.gettempdir(), f"checkpoints-{os.getuid()}"))
-    out = df.checkpoint(eager=True)
-    del df  # the plan that ran holds its shuffles
-    for _ in range(3 if reclaim else 0):
-        gc.collect()
-        sc._jvm.System.gc()
-        time.sleep(0.3)
-    return out
+        sc.setCheckpointDir(shared_folder(spark))
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        return df.checkpoint(eager=True)
+    finally:
+        spark.conf.set(_CLEANUP, before)
 
 
 def fold(doc_id: str | Column, n: int) -> Column:
@@ -71,13 +90,26 @@ def fold(doc_id: str | Column, n: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(c.cast("string").cast("binary")), F.lit(n)), F.lit(0)).cast("int")
 
 
-def bounded_sample(df: DataFrame, key: str, rows: int) -> DataFrame:
-    """About ``rows`` rows (never many more: the share is set from the count), chosen by
-    a hash of ``key``; all of them where there are no more."""
-    n = df.count()
-    if n <= rows:
-        return df
-    return df.where(F.pmod(F.xxhash64(F.col(key), F.lit(0x5EED)), F.lit(1_000_000)) < int(1_000_000 * rows / n))
+def _below(rows: int, n: int) -> int:
+    """The hash under which ``rows`` of ``n`` rows lie: 64 bits, so that a share of one row in
+    10^12 is still a share."""
+    return min((1 << 63) - 1, (rows << 64) // max(n, 1) - (1 << 63))
+
+
+def bounded_sample(df: DataFrame, key: str, rows: int, by: str | None = None) -> DataFrame:
+    """About ``rows`` rows, or about ``rows`` of each value of ``by`` (a column of few values,
+    one count of each comes to the driver), chosen by a hash of ``key``: the share is set
+    from the count. All rows of a value that has no more."""
+    drawn = F.xxhash64(F.col(key), F.lit(0x5EED))
+    if by is None:
+        n = df.count()
+        return df if n <= rows else df.where(drawn < F.lit(_below(rows, n)))
+    sizes = {r[by]: r["count"] for r in df.groupBy(by).count().collect()}
+    keep = F.lit(True)
+    for value, n in sizes.items():
+        if n > rows:
+            keep = F.when(F.col(by).eqNullSafe(F.lit(value)), drawn < F.lit(_below(rows, n))).otherwise(keep)
+    return df.where(keep)
 
 
 def text_slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -166,53 +198,54 @@ def runs(sorted_keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return starts, np.diff(np.r_[starts, sorted_keys.size])
 
 
-def number_within(df: DataFrame, group: str, order: list[str], name: str, rows_per_part: int = 200_000) -> DataFrame:
-    """``name``: 0, 1, 2, ... within each value of ``group``, without one task having to
-    hold a whole group: rows are split by a hash of ``order`` into parts, the parts are
-    counted, and a part's rows are numbered after those of the parts before it. The
-    table of counts has one row for each group and part. Built of DataFrame functions."""
-    parts = max(1, -(-df.count() // rows_per_part))
-    split = df.withColumn("_part", F.pmod(F.xxhash64(*order), F.lit(parts)).cast("int"))
-    sizes = split.groupBy(group, "_part").agg(F.count(F.lit(1)).alias("_n"))
-    before = Window.partitionBy(group).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sizes.withColumn("_base", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
-    within = Window.partitionBy(group, "_part").orderBy(*order)
+def number_within(df: DataFrame, group: str, order: list[str], name: str, rows_per_part: int = 8192) -> DataFrame:
+    """``name``: 0, 1, 2, ... within each value of ``group`` (of which there are few: their
+    counts are joined by broadcast). A group is split by a hash of ``order`` into parts of
+    about ``rows_per_part`` rows, the parts are counted, and a part's rows are numbered
+    after those of the parts before it, so no task holds a whole group. The counts are one
+    row for each part. Built of DataFrame functions; ``df`` is read three times, so it
+    should be cut. Columns of it that begin with _number are not kept."""
+    parts = df.groupBy(group).agg(F.ceil(F.count(F.lit(1)) / rows_per_part).alias("_number_parts"))
+    split = df.join(F.broadcast(parts), group).withColumn("_number_part", F.pmod(F.xxhash64(*order), F.col("_number_parts")).cast("int"))
+    sizes = split.groupBy(group, "_number_part").agg(F.count(F.lit(1)).alias("_number_n"))
+    before = Window.partitionBy(group).orderBy("_number_part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.withColumn("_number_base", F.coalesce(F.sum("_number_n").over(before), F.lit(0))).drop("_number_n")
+    within = Window.partitionBy(group, "_number_part").orderBy(*order)
     return (
-        split.withColumn("_row", F.row_number().over(within))
-        .join(starts, [group, "_part"])
-        .withColumn(name, (F.col("_base") + F.col("_row") - 1).cast("long"))
-        .drop("_part", "_base", "_row")
+        split.withColumn("_number_row", F.row_number().over(within))
+        .join(starts, [group, "_number_part"])
+        .withColumn(name, (F.col("_number_base") + F.col("_number_row") - 1).cast("long"))
+        .drop("_number_parts", "_number_part", "_number_base", "_number_row")
     )
 
 
-class Forest:
-    """Union of numbered items; each class is named by its smallest member."""
-
-    def __init__(self, n: int):
-        self.up = list(range(n))
-
-    def find(self, i: int) -> int:
-        up = self.up
-        while up[i] != i:
-            up[i] = up[up[i]]
-            i = up[i]
-        return i
-
-    def join(self, i: int, j: int) -> None:
-        a, b = self.find(i), self.find(j)
-        if a != b:
-            self.up[max(a, b)] = min(a, b)
+def connected(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray | None = None) -> np.ndarray:
+    """For each of n items the smallest item that links (a, b) reach, from the labels of an
+    earlier call on. Minima are passed along all links at once until nothing changes."""
+    label = np.arange(n) if label is None else label
+    while a.size:
+        apart = label[a] != label[b]
+        if not apart.all():
+            a, b = a[apart], b[apart]
+        low = np.minimum(label[a], label[b])
+        np.minimum.at(label, label[a], low)
+        np.minimum.at(label, label[b], low)
+        while (label[label] != label).any():
+            label = label[label]
+    return label
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """Connected components of ``links`` (a, b): one row (node, component) for each node
     that occurs, component being the smallest node reached. Rounds of star contraction,
-    each with map-side combined minima and a checkpoint, until the edges form stars."""
+    each with map-side combined minima and a checkpoint, until the edges form stars. A
+    node of very many edges is one key of the joins, which Spark splits as a skewed join:
+    both sides of each join come out of a checkpoint or an exchange of their own."""
     edges = cut(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct())
     seen = None
     for _ in range(most_rounds):
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        low = cut(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")))
         large = both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a")
@@ -221,7 +254,7 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
             .unionByName(least.select("a", F.col("m").alias("b")))
             .distinct()
         )
-        now = tuple(edges.agg(F.count(F.lit(1)), F.sum(F.pmod(F.xxhash64("a", "b"), F.lit(1 << 40)))).first())
+        now = tuple(edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("a", "b"))).first())
         if now == seen:
             break
         seen = now

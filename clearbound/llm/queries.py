@@ -73,9 +73,9 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import corpus_pipeline
+    from . import pipeline as stages
 
-    return corpus_pipeline.run(spark, sf_dir)
+    return stages.run(spark, sf_dir)
 
 
 QUERIES = {f.__name__: f for f in (op1_toxicity, op2_substring_dedup, op3_embedding_dedup, op4_byte_bpe, op5_quality, op6_language, op7_packing, op8_sharding, op9_topk, op10_simhash, pipeline)}

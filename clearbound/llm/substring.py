@@ -32,6 +32,9 @@ from .common import cut, id_bucket, id_bucket_np, ordered_bits, pack, pack_sorte
 
 #: Text bytes whose windows one sort takes.
 SORT_BYTES = 6 << 20
+#: Text bytes whose windows one bucket of hashes, or whose texts one bucket of ids, holds:
+#: more text means more buckets, not larger ones.
+TASK_BYTES = 24 << 20
 _BASES = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F))
 _SENT = "key int, kind int, h binary, g binary, d binary, p binary, ids binary"
 _HITS = "part int, ids binary, n binary, p binary"
@@ -96,7 +99,7 @@ def _send(h: np.ndarray, g: np.ndarray | None, d: np.ndarray, p: np.ndarray, ids
     """Blobs of entries by bucket of hash. h ascending; d: index into ids (ascending)."""
     if not h.size:
         return
-    key = ((h >> np.uint64(48)) * np.uint64(buckets) >> np.uint64(16)).astype(np.int64)
+    key = ((h >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32)).astype(np.int64)
     for s, n in zip(*runs(key), strict=True):
         own, index = np.unique(d[s : s + n], return_inverse=True)
         yield int(key[s]), 0, pack_sorted(h[s : s + n]), pack(g[s : s + n]) if g is not None else b"", pack(index), pack(p[s : s + n]), pack_sorted(ids[own])
@@ -245,13 +248,14 @@ def repeats(docs: DataFrame, window: int = 13, block: int = 7) -> tuple[DataFram
     if 2 * block - 1 > window:
         raise ValueError("a window must hold a whole reference block: 2 * block - 1 <= window")
     spark = docs.sparkSession
-    buckets = 2 * shuffle_partitions(spark)
-    parts = shuffle_partitions(spark) | 1
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = max(2 * shuffle_partitions(spark), -(-size // TASK_BYTES))
+    parts = max(shuffle_partitions(spark), -(-size // TASK_BYTES)) | 1
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    hits = cut(rows.mapInArrow(_anchors(block, buckets, parts), _SENT).groupBy("key").applyInArrow(_match_anchors(parts), _HITS), reclaim=True)
+    hits = cut(rows.mapInArrow(_anchors(block, buckets, parts), _SENT).groupBy("key").applyInArrow(_match_anchors(parts), _HITS))
     at = rows.where("doc_id is not null").withColumn("part", id_bucket(F.col("doc_id"), parts))
     sent = at.groupBy("part").cogroup(hits.groupBy("part")).applyInArrow(_extend(block, window, buckets, parts), _SENT)
-    return cut(sent.groupBy("key").applyInArrow(_match_windows(parts), _HITS), reclaim=True), parts
+    return cut(sent.groupBy("key").applyInArrow(_match_windows(parts), _HITS)), parts
 
 
 def _cut_words(texts: list[bytes], places: list[np.ndarray | None], window: int):
@@ -269,17 +273,20 @@ def _cut_words(texts: list[bytes], places: list[np.ndarray | None], window: int)
         yield n, int(n - keep.sum()), [w for w, k in zip(words, keep.tolist(), strict=True) if k], keep
 
 
-def remove_repeats(docs: DataFrame, window: int = 13, block: int = 7, texts: bool = True) -> DataFrame:
-    """One row for each row of ``docs``: doc_id, n_words, n_removed, kept_sha256 and, with
-    ``texts``, kept_text (the kept words joined by one space; the text itself, null
-    included, where nothing is removed)."""
+def remove_repeats(docs: DataFrame, window: int = 13, block: int = 7, texts: bool = True, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row for each row of ``docs``: doc_id, n_words, n_removed, kept_sha256, with
+    ``texts`` kept_text (the kept words joined by one space; the text itself, null included,
+    where nothing is removed), and the columns of ``carry`` as they are."""
     found, parts = repeats(docs, window, block)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * texts
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *carry)
+    names = ["doc_id", "n_words", "n_removed", "kept_sha256", *["kept_text"] * texts, *carry]
+    if len(set(names)) < len(names):
+        raise ValueError(f"a column that is carried has the name of a result: {names}")
+    kinds = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string()), *[("kept_text", pa.string())] * texts])
 
     def run(own: pa.Table, hits: pa.Table) -> pa.Table:
         places, out = _hits_of(hits), []
-        for b in text_slices(own.select(["doc_id", "text"]).to_batches()):
+        for b in text_slices(own.select(["doc_id", "text", *carry]).to_batches()):
             ids = b.column(0).to_pylist()
             cols: list[list] = [[], [], [], []]
             for (n, gone, kept, _), whole in zip(_cut_words(raw_texts_of(b), [places.get(i) for i in ids], window), b.column(1).to_pylist(), strict=True):
@@ -289,10 +296,11 @@ def remove_repeats(docs: DataFrame, window: int = 13, block: int = 7, texts: boo
                 cols[2].append(hashlib.sha256(joined).hexdigest())
                 cols[3].append(joined.decode("utf-8", "replace") if gone else whole)
             arrays = [pa.array(ids, pa.int64()), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.string()), pa.array(cols[3], pa.string())]
-            out.append(pa.RecordBatch.from_arrays(arrays[: 4 + texts], ["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"][: 4 + texts]))
-        kinds = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string()), *([("kept_text", pa.string())] if texts else [])])
-        return pa.Table.from_batches(out, kinds)
+            out.append(pa.RecordBatch.from_arrays([*arrays[: 4 + texts], *b.columns[2:]], names))
+        return pa.Table.from_batches(out) if out else pa.Table.from_batches([], pa.schema([*kinds, *(own.schema.field(c) for c in carry)]))
 
     # rows without an id go to any part: no hit is theirs
     part = F.coalesce(id_bucket(F.col("doc_id"), parts), F.pmod(F.xxhash64("text"), F.lit(parts)).cast("int"))
-    return rows.withColumn("part", part).groupBy("part").cogroup(found.groupBy("part")).applyInArrow(run, schema)
+    given = dict(rows.dtypes)
+    schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * texts + "".join(f", `{c}` {given[c]}" for c in carry)
+    return rows.withColumn("_part", part).groupBy("_part").cogroup(found.withColumnRenamed("part", "_part").groupBy("_part")).applyInArrow(run, schema)

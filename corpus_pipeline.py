@@ -1,94 +1,5 @@
-"""The corpus pipeline: language ID, quality, near-duplicates, substrings, packing.
+"""The corpus pipeline, whose stages are in clearbound.llm.pipeline."""
 
-Each stage takes (spark, docs, sf_dir), works on all that the one before kept, and returns
-the columns of ``documents`` (the last: packed pieces). Classifiers are fitted on
-``docs`` and the labels of ``sf_dir`` outside their held-out folds.
-"""
+from clearbound.llm.pipeline import COLUMNS, ORACLE_SQL, STAGES, run
 
-from __future__ import annotations
-
-import uuid
-
-import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession, Window
-from pyspark.sql import functions as F
-
-from clearbound.llm import langid, packing, quality, queries, simhash, substring, toxicity
-from clearbound.llm.common import bounded_batches, table
-
-COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-#: Quality scores under this are rejected.
-QUALITY_FLOOR = 0.3
-
-
-def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects texts that no language model accepts (those without a letter among them)."""
-    model = queries.fitted_langid(docs)
-    return _keep(docs, lambda texts: [ok for *_, ok in model.classify(texts)])
-
-
-def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects texts of a quality score under QUALITY_FLOOR."""
-    import numpy as np
-
-    model = quality.fit_quality(toxicity.training_rows(docs, table(spark, sf_dir, "labels"), "quality", (5, 0), queries.FIT_ROWS))
-    return _keep(docs, lambda texts: model.score(np.array([quality.statistics(t) for t in texts]).reshape(-1, len(quality.STATISTICS))) >= QUALITY_FLOOR)
-
-
-def _keep(docs: DataFrame, accept) -> DataFrame:
-    """The rows whose texts ``accept`` takes, in the pass that reads them."""
-    import pyarrow as pa
-
-    from clearbound.llm.common import text_slices, texts_of
-
-    def run(batches):
-        for b in text_slices(batches):
-            yield b.filter(pa.array([bool(x) for x in accept(texts_of(b))], pa.bool_()))
-
-    bounded_batches(docs.sparkSession)
-    rows = docs.select(*COLUMNS)
-    return rows.mapInArrow(run, rows.schema)
-
-
-def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one row of each group of texts that share .8 of their shingles of five words:
-    that of the smallest doc_id, one row of equal ids. Rows without doc_id stay."""
-    groups = simhash.similar_documents(docs).where("doc_id = component_id").select("doc_id").distinct()
-    rows = docs.select(*COLUMNS)
-    kept = rows.join(groups, "doc_id", "left_semi")
-    first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
-    kept = kept.withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
-    return kept.unionByName(rows.where("doc_id is null"))
-
-
-def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes repeats of 13 words; a text that is nothing but repeats goes. Rows without
-    doc_id stay as they are."""
-    kept = substring.remove_repeats(docs.where("doc_id is not null"), window=13, block=7).where("n_words = 0 or n_removed < n_words")
-    rest = docs.select("doc_id", "lang", "source")
-    out = kept.join(rest, "doc_id").select("doc_id", F.col("kept_text").alias("text"), "lang", "source", F.length("kept_text").cast("long").alias("n_chars"))
-    return out.unionByName(docs.where("doc_id is null").select(*COLUMNS))
-
-
-def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"), 2048)
-
-
-STAGES = [("language_id", language), ("quality", good_quality), ("near_duplicates", near_duplicates), ("substring_dedup", repeated_passages), ("packing", pack)]
-
-#: Models and fingerprints are beyond SQL: tests hold run() against brute force.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base is None:
-        import tempfile
-
-        base = tempfile.gettempdir()
-    at = f"{base.rstrip('/')}/pipeline-{uuid.uuid4().hex}"
-    for i, (name, stage) in enumerate(STAGES):
-        stage(spark, docs, sf_dir).write.parquet(f"{at}/{i}-{name}")
-        docs = spark.read.parquet(f"{at}/{i}-{name}")
-    return docs
+__all__ = ["COLUMNS", "ORACLE_SQL", "STAGES", "run"]

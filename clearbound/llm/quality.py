@@ -19,6 +19,9 @@ from pyspark.sql import functions as F
 
 from .common import cut, text_slices, texts_of
 
+#: Tasks that a fit's rows are dealt to.
+FIT_TASKS = 8
+
 _LETTER = np.zeros(256, bool)
 _LETTER[[*range(65, 91), *range(97, 123), *range(128, 256)]] = True
 _UPPER = np.zeros(256, bool)
@@ -106,7 +109,8 @@ def fit_quality(labelled: DataFrame, width: int = 192, gamma: float = 0.02, ridg
             yield pa.RecordBatch.from_arrays([pa.array(list(map(np.ndarray.tobytes, x)), pa.binary()), b.column("y"), b.column("half")], ["x", "y", "half"])
 
     rows = labelled.where("quality in (0, 1)").select("text", F.col("quality").cast("int").alias("y"), F.pmod(F.xxhash64("text"), F.lit(2)).cast("int").alias("half"))
-    rows = cut(rows.mapInArrow(stats, "x binary, y int, half int"))
+    # the fit's rows are few, whatever number of partitions they come from: every partition sums all cells
+    rows = cut(rows.mapInArrow(stats, "x binary, y int, half int").repartition(FIT_TASKS))
 
     def matrix(b):
         return np.frombuffer(b"".join(b.column("x").to_pylist()), np.float64).reshape(-1, dim)
@@ -118,7 +122,8 @@ def fit_quality(labelled: DataFrame, width: int = 192, gamma: float = 0.02, ridg
             x = matrix(b)
             n += len(x)
             total += np.stack([x.sum(0), (x * x).sum(0)])
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(2 * dim + 1)), pa.array(np.r_[total.reshape(-1), n])], ["i", "v"])
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(2 * dim + 1)), pa.array(np.r_[total.reshape(-1), n])], ["i", "v"])
 
     def summed(job, source):
         return {r["i"]: r["v"] for r in source.mapInArrow(job, "i long, v double").groupBy("i").agg(F.sum("v").alias("v")).collect()}
@@ -135,15 +140,17 @@ def fit_quality(labelled: DataFrame, width: int = 192, gamma: float = 0.02, ridg
     upper = np.triu_indices(m)
 
     def normal(batches):
-        cells, right, counts = np.zeros((2, m, m)), np.zeros((2, m)), np.zeros(2)
+        cells, right, n = np.zeros((2, m, m)), np.zeros((2, m)), 0
         for b in batches:
+            n += b.num_rows
             z, y, half = model.features(matrix(b)), b.column("y").to_numpy(), b.column("half").to_numpy()
             for h in (0, 1):
                 own = z[half == h]
                 cells[h] += own.T @ own
                 right[h] += own.T @ y[half == h]
         flat = np.concatenate([np.concatenate([cells[h][upper], right[h]]) for h in (0, 1)])
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(flat.size)), pa.array(flat)], ["i", "v"])
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(flat.size)), pa.array(flat)], ["i", "v"])
 
     cells = summed(normal, rows)
     size = upper[0].size + m

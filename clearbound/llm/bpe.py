@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import text_slices, texts_of
 
-#: Pieces and words whose ids a worker remembers at once.
-MEMORY = 600_000
+#: Pieces and words whose ids a worker remembers at once, and the length of the longest of them.
+MEMORY, LONGEST = 600_000, 64
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -157,11 +157,14 @@ class _Words(dict):
                 ids = np.array(self.encoder.encode_piece(p.encode()), "<u4").tobytes()
                 if len(pieces) >= MEMORY // 2:
                     pieces.clear()
-                pieces[p] = ids
+                if len(p) <= LONGEST:
+                    pieces[p] = ids
             out.append(ids)
         if len(self) >= MEMORY:
             self.clear()
-        self[word] = made = b"".join(out)
+        made = b"".join(out)
+        if len(word) <= LONGEST:
+            self[word] = made
         return made
 
     def encode(self, text: str) -> bytes:

@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 from .common import cut, gathered, number_within, text_slices, texts_of
 
-#: Words whose ids a worker remembers at once.
-MEMORY = 900_000
+#: Words whose ids a worker remembers at once, and the length of the longest of them.
+MEMORY, LONGEST = 900_000, 64
 
 # Characters on which a word's ids do not depend on its neighbours, whose case and form
 # need no context and whose class is the same for re and the tokenizer: any other text is
@@ -76,7 +76,8 @@ class Tokenizer:
                 ids = np.array([t.id for t in self.library.model.tokenize(own)], "<u4").tobytes()
                 if len(self.pieces) > MEMORY // 2:
                     self.pieces.clear()
-                self.pieces[p] = ids
+                if len(p) <= LONGEST:
+                    self.pieces[p] = ids
             out.append(ids)
         return b"".join(out)
 
@@ -87,10 +88,10 @@ class Tokenizer:
         known = self.known
         if len(known) > MEMORY:
             known.clear()
-        make = self._word
-        for w in set().union(*(w for w in words if w)) - known.keys():
-            known[w] = make(w)
-        get = known.__getitem__
+        make, long = self._word, {}
+        for w in set().union(*(w for w in words if w)).difference(known):
+            (known if len(w) <= LONGEST else long)[w] = make(w)
+        get = (lambda w: known[w] if w in known else long[w]) if long else known.__getitem__
         rest = iter(self._ids([t for t, w in zip(texts, words, strict=True) if w is None]))
         return [b"".join(map(get, w)) if w is not None else next(rest) for w in words]
 
@@ -168,8 +169,10 @@ def plan_bins(counts: dict[int, int], capacity: int) -> list[tuple[list[int], in
 
 
 def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
-    """Adds sequence_id and offset to rows with ``length`` (1 to capacity) and the order
-    columns doc_id, piece. ``pieces`` should be cut already: it is read three times."""
+    """Adds sequence_id and offset (columns of these names are replaced) to rows with
+    ``length`` (1 to capacity) and the order columns doc_id, piece. ``pieces`` should be cut
+    already: it is read four times."""
+    pieces = pieces.drop("sequence_id", "offset")
     counts = {r["length"]: r["count"] for r in pieces.groupBy("length").count().collect()}
     plan = plan_bins(counts, capacity)
     # for each length: from which rank on a bin kind holds it, and where it stands there
@@ -190,16 +193,16 @@ def pack(pieces: DataFrame, capacity: int = 2048) -> DataFrame:
 
     def place(batches):
         for b in gathered(batches, 1 << 16):
-            length, rank = b.column("length").to_numpy(), b.column("rank").to_numpy()
+            length, rank = b.column("length").to_numpy(), b.column("_number").to_numpy()
             sequence, offset = np.zeros(length.size, np.int64), np.zeros(length.size, np.int64)
             for n in np.unique(length).tolist():
                 own = np.flatnonzero(length == n)
                 ranks, firsts, offsets, _ = table[n]
                 k = np.searchsorted(ranks, rank[own], side="right") - 1
                 sequence[own], offset[own] = firsts[k] + rank[own] - ranks[k], offsets[k]
-            yield pa.RecordBatch.from_arrays([*(c for c, f in zip(b.columns, b.schema, strict=True) if f.name != "rank"), pa.array(sequence), pa.array(offset)], [*(f.name for f in b.schema if f.name != "rank"), "sequence_id", "offset"])
+            yield pa.RecordBatch.from_arrays([*(c for c, f in zip(b.columns, b.schema, strict=True) if f.name != "_number"), pa.array(sequence), pa.array(offset)], [*(f.name for f in b.schema if f.name != "_number"), "sequence_id", "offset"])
 
-    numbered = number_within(pieces, "length", ["doc_id", "piece", "ids_crc32"], "rank").select(*pieces.columns, "rank")
+    numbered = number_within(pieces, "length", ["doc_id", "piece", "ids_crc32"], "_number").select(*pieces.columns, "_number")
     kinds = ", ".join(f"`{n}` {t}" for n, t in pieces.dtypes)
     return numbered.mapInArrow(place, f"{kinds}, sequence_id long, offset long")
 

@@ -79,7 +79,7 @@ def cut(df: DataFrame) -> DataFrame:
     before = spark.conf.get(_CLEANUP, "false")
     spark.conf.set(_CLEANUP, "true")
     try:
-        return df.checkpoint(eager=True)
+        return df.select("*").checkpoint(eager=True)  # the setting holds for frames that are made under it
     finally:
         spark.conf.set(_CLEANUP, before)
 

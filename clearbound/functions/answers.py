@@ -17,23 +17,22 @@ from pyspark.sql import types as T
 
 # The unit tokens that resolve.
 UNITS = ("m", "s", "kg", "g", "N", "J", "W", "K", "A", "V", "C", "Pa", "Hz", "T", "mol", "rad", "cm", "mm", "km", "ms", "min", "h", "kJ", "kW", "eV", "MeV", "ohm", "F", "H", "L", "nm", "kPa")
-_BOX = "\\boxed{"
+_BRACE = re.compile(r"\\boxed\{|[{}]")
 
 
 def boxes(text: str | None) -> list[str]:
     """Complete boxed expressions in order of their start, blank ones left out; an
-    unclosed box is none."""
-    out: list[str] = []
-    at = (text or "").find(_BOX)
-    while text and at >= 0:
-        depth, i = 1, at + len(_BOX)
-        while i < len(text) and depth:
-            depth += {"{": 1, "}": -1}.get(text[i], 0)
-            i += 1
-        if not depth and text[at + len(_BOX) : i - 1].strip():
-            out.append(text[at + len(_BOX) : i - 1].strip())
-        at = text.find(_BOX, at + len(_BOX))
-    return out
+    unclosed box is none. One pass over the braces."""
+    found: list[tuple[int, str]] = []
+    open_at: list[tuple[int, bool]] = []
+    for m in _BRACE.finditer(text or ""):
+        if m[0] != "}":
+            open_at.append((m.end(), m[0] != "{"))
+        elif open_at:
+            start, box = open_at.pop()
+            if box and text[start : m.start()].strip():
+                found.append((start, text[start : m.start()].strip()))
+    return [x for _, x in sorted(found)]
 
 
 @F.pandas_udf(T.ArrayType(T.StringType()))
@@ -68,13 +67,18 @@ def to_plain(x: Column) -> Column:
 
 
 def plain_text(x: str) -> str:
+    """LaTeX as arithmetic: wrappers and sizes dropped, fractions to quotients at any depth,
+    products to *, braced exponents in parentheses, commas of thousands out."""
+    x = re.sub(r"\\(?:left|right)\b|\\[,;!: ]|\{,\}|\\?%|\$", "", x)
     before = None
     while before != x:
         before = x
-        x = re.sub(r"\\(?:text|mathrm)\{([^{}]*)\}", r"\1", x)
+        x = re.sub(r"\\(?:text|mathrm|mathbf|textbf)\{([^{}]*)\}", r"\1", x)
         x = re.sub(r"\\[dt]?frac\{([^{}]*)\}\{([^{}]*)\}", r"((\1)/(\2))", x)
         x = re.sub(r"\\sqrt\{([^{}]*)\}", r"sqrt(\1)", x)
-    return re.sub(r"\\(?:times|cdot)", "*", x).replace("\\pi", "pi").replace("$", "").strip()
+        x = re.sub(r"\^\{([^{}]*)\}", r"^(\1)", x)
+    x = re.sub(r"(?<=[0-9]),(?=[0-9]{3}(?![0-9]))", "", x)
+    return re.sub(r"\\(?:times|cdot)\b", "*", x).replace("\\pi", "pi").strip()
 
 
 # -- expressions
@@ -116,17 +120,24 @@ def _value(node, names: dict[str, float]) -> float:
     raise ValueError("not an allowed expression")
 
 
+#: A unit at the end: letters, and what powers and quotients of units are written with.
+_UNIT = re.compile(r"\s*(?:[A-Za-z]+[0-9^()\-]*[\s*/]*)+$")
+
+
 def evaluate(x: str | None) -> float | None:
-    """Number of an arithmetic text (plain or LaTeX), else of its numeric prefix, else none."""
+    """Number of an arithmetic text (plain or LaTeX, behind an equals sign, before a unit), else
+    of its numeric prefix, else none."""
     if not x or len(x) > 500:
         return None
-    plain = plain_text(x)
-    try:
-        v = _value(_tree(plain), _NAMES)
-        return v if math.isfinite(v) else None
-    except (ValueError, SyntaxError, KeyError, ZeroDivisionError, OverflowError, TypeError, RecursionError, MemoryError):
-        m = re.match(r"\s*(-?[0-9]+(?:\.[0-9]+)?(?:[eE][-+]?[0-9]+)?)", plain)
-        return float(m[1]) if m else None
+    plain = plain_text(x).rpartition("=")[2]
+    for text in (plain, _UNIT.sub("", plain)):
+        try:
+            v = _value(_tree(text), _NAMES)
+            return v if math.isfinite(v) else None
+        except (ValueError, SyntaxError, KeyError, ZeroDivisionError, OverflowError, TypeError, RecursionError, MemoryError):
+            continue
+    m = re.match(r"\s*(-?[0-9]+(?:\.[0-9]+)?(?:[eE][-+]?[0-9]+)?)", plain)
+    return float(m[1]) if m else None
 
 
 @F.pandas_udf(T.DoubleType())
@@ -141,6 +152,18 @@ def number_of(x: Column) -> Column:
     return F.coalesce(cast, evaluated(F.when(cast.isNull(), x)))
 
 
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
+def all_evaluated(parts: pd.Series) -> pd.Series:
+    return parts.map(lambda xs: None if xs is None else [evaluate(x) for x in xs])
+
+
+def numbers_of(parts: Column) -> Column:
+    """Numbers of an array of texts by the whole ladder: a cast in codegen, and for arrays of
+    which a text is no plain number the arithmetic reader."""
+    cast = F.transform(parts, lambda x: x.try_cast("double"))
+    return F.coalesce(all_evaluated(F.when(F.exists(cast, lambda v: v.isNull()), parts)), cast)
+
+
 Poly = dict[tuple[tuple[str, int], ...], Fraction]
 
 
@@ -254,8 +277,14 @@ def unit_tokens(text: Column) -> Column:
 
 
 def match_letter(pred: Column, gold: Column) -> Column:
-    clean = lambda c: F.upper(F.regexp_replace(c, r"[^A-Za-z]", ""))
-    return F.coalesce(clean(pred) == clean(gold), F.lit(False))
+    """Do two texts choose the same letter? Wrappers go first; a letter counts where no other
+    letter follows it: B, (B), \\text{B} and B) Paris."""
+
+    def letter(c: Column) -> Column:
+        bare = F.regexp_replace(c, r"\\(?:text|mathrm|mathbf|textbf)\{([^{}]*)\}", "$1")
+        return F.upper(F.regexp_extract(bare, r"^[^A-Za-z]*([A-Za-z])(?![A-Za-z])", 1))
+
+    return F.coalesce((letter(pred) == letter(gold)) & (letter(gold) != ""), F.lit(False))
 
 
 def close(p: Column, g: Column, tol: float) -> Column:
@@ -263,5 +292,16 @@ def close(p: Column, g: Column, tol: float) -> Column:
     return F.coalesce(F.when(F.isnan(p) | F.isnan(g), False).when(g == 0, F.abs(p) <= 1e-9).otherwise(F.abs(p - g) <= tol * F.abs(g) + 1e-12), F.lit(False))
 
 
-def parts_of(answer: Column) -> Column:
-    return F.transform(F.split(answer, r"[;,]"), lambda x: F.trim(x))
+_THOUSANDS = r"(?<=[0-9]),(?=[0-9]{3}(?![0-9]))"
+
+
+def parts_of(answer: Column, wanted: Column | None = None) -> Column:
+    """Parts of an answer between semicolons and commas. A comma between a digit and exactly
+    three others is one of thousands, unless cutting there too gives as many parts as are
+    ``wanted``."""
+    bare = F.regexp_replace(answer, r"\{,\}|\\[,;!: ]", "")
+    aware = F.transform(F.split(bare, r";|,(?![0-9]{3}(?![0-9]))|(?<![0-9]),"), lambda x: F.trim(F.regexp_replace(x, _THOUSANDS, "")))
+    if wanted is None:
+        return aware
+    every = F.transform(F.split(bare, r"[;,]"), lambda x: F.trim(x))
+    return F.when(F.size(every) == wanted, every).otherwise(aware)

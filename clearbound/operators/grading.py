@@ -17,15 +17,13 @@ def extracted(rolls: DataFrame) -> DataFrame:
     return out.withColumn("boxed", F.when(F.size("boxes") > 0, F.element_at("boxes", -1)))
 
 
-def _numbers(parts: Column) -> Column:
-    """Numbers of an array of plain texts; what a cast cannot read is null."""
-    return F.transform(parts, lambda x: x.try_cast("double"))
-
-
 def agrees(pred: Column, tol: float) -> Column:
-    """Does an answer text agree with ``gold`` (an array of parts) by ``kind``?"""
-    gold, parts = F.col("gold"), A.parts_of(pred)
-    multi = (F.size(parts) == F.size(gold)) & F.forall(F.zip_with(_numbers(parts), _numbers(gold), lambda p, g: A.close(p, g, tol)), lambda x: x)
+    """Does an answer text agree with ``gold`` (an array of parts) by ``kind``? Numbers are read
+    by the whole ladder: casts, arithmetic and LaTeX, the number before a unit."""
+    gold = F.col("gold")
+    closed = F.when(F.col("kind").isin("numeric", "multipart"), pred)
+    numbers, want = A.numbers_of(A.parts_of(closed, F.size(gold))), A.numbers_of(F.when(closed.isNotNull(), gold))
+    multi = (F.size(numbers) == F.size(gold)) & F.forall(F.zip_with(numbers, want, lambda p, g: A.close(p, g, tol)), lambda x: x)
     return F.coalesce(
         F.when(F.col("kind") == "mcq", A.match_letter(pred, gold[0]))
         .when(F.col("kind").isin("numeric", "multipart"), multi)
@@ -46,7 +44,7 @@ def components(rolls: DataFrame) -> DataFrame:
     units = A.unit_tokens(F.col("response"))
     known = F.array(*map(F.lit, A.UNITS))
     total = lambda c: F.aggregate(c, F.lit(0.0), lambda s, x: s + x)
-    p, want = F.col("boxed").try_cast("double"), total(F.col("balance.inflow")) - total(F.col("balance.outflow"))
+    p, want = F.get(A.numbers_of(F.when(F.col("balance").isNotNull(), A.parts_of(F.col("boxed"), F.lit(1)))), F.lit(0)), total(F.col("balance.inflow")) - total(F.col("balance.outflow"))
     off = F.abs(p - want) / F.greatest(F.abs(want), F.abs(p), F.lit(1e-9)) > 0.05
     out = v.withColumns({
         "r_ans": F.col("verdict").cast("double"),

@@ -16,7 +16,7 @@ def liberal_problem(rolls: DataFrame, tol: float = 0.02) -> DataFrame:
     last 600 characters where there is no box."""
     x = extracted(rolls) if "boxes" not in rolls.columns else rolls
     fallback = A.tail_numbers(F.col("response"), 600)
-    gold = F.transform("gold", lambda g: g.try_cast("double"))
+    gold = A.numbers_of(F.when(F.col("kind").isin("numeric", "multipart"), F.col("gold")))
     from_tail = F.forall(gold, lambda g: F.exists(fallback, lambda p: A.close(p.try_cast("double"), g, tol))) & F.col("kind").isin("numeric", "multipart")
     return x.withColumn("judged", F.when(F.size("boxes") > 0, agrees(F.col("boxed"), tol)).otherwise(F.coalesce(from_tail, F.lit(False))))
 
@@ -25,14 +25,16 @@ def subparts(rolls: DataFrame, tol: float = 0.01, fallback: int = 0) -> DataFram
     """One row a gold part: is it matched by ANY prediction? Predictions are the parts of
     every box and, with ``fallback``, the numbers of that many last characters if no box."""
     x = extracted(rolls) if "boxes" not in rolls.columns else rolls
-    preds = F.flatten(F.transform("boxes", lambda b: A.parts_of(b)))
+    preds = F.flatten(F.transform("boxes", lambda b: A.parts_of(b, F.size("gold"))))
     if fallback:
         preds = F.when(F.size("boxes") > 0, preds).otherwise(A.tail_numbers(F.col("response"), fallback))
-    rows = x.withColumn("preds", preds).select("*", F.posexplode("gold").alias("part", "want"))
-    number = F.exists("preds", lambda p: A.close(p.try_cast("double"), F.col("want").try_cast("double"), tol))
+    counted = F.col("kind").isin("numeric", "multipart")
+    x = x.withColumn("preds", preds).withColumn("_read", A.numbers_of(F.when(counted, F.col("preds")))).withColumn("_wants", A.numbers_of(F.when(counted, F.col("gold"))))
+    rows = x.select("*", F.posexplode("gold").alias("part", "want")).withColumn("_want", F.get("_wants", F.col("part")))
+    number = F.exists("_read", lambda p: A.close(p, F.col("_want"), tol))
     letter = F.exists("preds", lambda p: A.match_letter(p, F.col("want")))
     exact = F.coalesce(A.symbolic_match(F.when(F.col("kind") == "fraction", F.try_element_at("preds", F.lit(-1))), F.col("want")), F.lit(False))
-    return rows.withColumn("part_ok", F.coalesce(F.when(F.col("kind") == "mcq", letter).when(F.col("kind") == "fraction", exact).otherwise(number), F.lit(False)))
+    return rows.withColumn("part_ok", F.coalesce(F.when(F.col("kind") == "mcq", letter).when(F.col("kind") == "fraction", exact).otherwise(number), F.lit(False))).drop("_read", "_wants", "_want")
 
 
 def all_parts(parts: DataFrame, keys: list[str]) -> DataFrame:
@@ -123,7 +125,8 @@ def leaderboard(scores: DataFrame, base: int, columns: list[str]) -> DataFrame:
 
 
 def failure_kind(boxed: Column, want: Column, kind: Column) -> Column:
-    p, g = A.parts_of(boxed)[0].try_cast("double"), want[0].try_cast("double")
+    counted = kind.isin("numeric", "multipart")
+    p, g = (F.get(A.numbers_of(F.when(counted, x)), F.lit(0)) for x in (A.parts_of(boxed, F.size(want)), want))
     off = F.abs(p - g) / F.abs(g)
     return (
         F.when(boxed.isNull(), "no_box").when(kind == "mcq", "wrong_choice").when(kind == "fraction", "wrong_expression")

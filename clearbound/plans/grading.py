@@ -24,7 +24,7 @@ def scored(spark, sf):
     return G.components(rolls(spark, sf))
 
 
-ANSWER = """case when not has_box then null when kd = 0 then substr('ABCD', (size + case when correct then 0 else 1 end) % 4 + 1, 1) when kd = 3 then '\\frac{' || (size + case when correct then 0 else 1 end) || '}{4}' end"""
+ANSWER = """case when not has_box then null when kd = 0 then case form when 1 then '\\text{' when 2 then '(' else '' end || substr('ABCD', (size + case when correct then 0 else 1 end) % 4 + 1, 1) || case form when 1 then '}' when 2 then ')' else '' end when kd = 3 then '\\frac{' || (size + case when correct then 0 else 1 end) || '}{4}' end"""
 
 
 @query("boxed_last", R + f"select prompt_id, k, {ANSWER} as boxed, has_box from roll where kd in (0, 3)")

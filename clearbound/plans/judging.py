@@ -260,15 +260,8 @@ def human_kappa(spark, sf):
     return T.kappa(d.select(F.col("quality").alias("a"), (letters / F.greatest(F.length("text"), F.lit(1)) >= 0.7).cast("int").alias("b")), "a", "b")
 
 
-@query("mcnemar", R + f", c as (select kind, count(*) as n_pairs, count(*) filter (correct and not ok2) as only_a, count(*) filter (ok2 and not correct) as only_b from roll where model % 7 = 0 and k = 1 group by kind) select kind, n_pairs, only_a, only_b, round(least(1.0, 2 * ({S.half_tail('only_a', 'only_b')})), 6) as p from c")
+@query("mcnemar", R + f", c as (select kind, count(*) as n_pairs, count(*) filter (correct and not ok2) as only_a, count(*) filter (ok2 and not correct) as only_b from roll group by kind) select kind, n_pairs, only_a, only_b, round(least(1.0, 2 * ({S.half_tail('only_a', 'only_b')})), 6) as p from c")
 def mcnemar(spark, sf):
-    b = G.extracted(fx.rollouts(spark, sf).where("k = 1 and model % 7 = 0"))
-    return T.mcnemar(b.select("kind", G.agrees(F.col("boxed"), 0.01).alias("v1"), G.agrees(F.col("boxed"), 0.02).alias("v2")), "v1", "v2", ["kind"])
-
-
-@query("mcnemar_all", because="half_tail of the SQL is a normal tail beyond n = 1000; brute force in tests")
-def mcnemar_all(spark, sf):
-    """Every model and rollout; ``mcnemar`` has those of its SQL."""
     b = G.extracted(fx.rollouts(spark, sf))
     return T.mcnemar(b.select("kind", G.agrees(F.col("boxed"), 0.01).alias("v1"), G.agrees(F.col("boxed"), 0.02).alias("v2")), "v1", "v2", ["kind"])
 
@@ -342,12 +335,6 @@ def profiled(rows):
     return v.groupBy("model").applyInPandas(profile, "model long, n long, median_h double, acc double")
 
 
-@query("group_profile", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll where model % 20 = 0 group by model")
+@query("group_profile", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll group by model")
 def group_profile(spark, sf):
-    return profiled(fx.rollouts(spark, sf).where("model % 20 = 0"))
-
-
-@query("group_profile_all", R + "select model, count(*) as n, round(median(h), 6) as median_h, round(avg(correct::int), 6) as acc from roll group by model")
-def group_profile_all(spark, sf):
-    """Every model; ``group_profile`` has those of its SQL."""
     return profiled(fx.rollouts(spark, sf))

@@ -85,7 +85,7 @@ ln as (select *, row_number() over (partition by l_partkey order by l_orderkey,
 r0 as (
   select prompt_id, k, kd, kind, difficulty, concept, source, price, size, l_suppkey as model, case l_suppkey % 3 when 0 then 42 when 1 then 17 else 23 end as seed, l_linestatus as arm, l_linenumber % 4 as shape,
     (7 * l_orderkey + 13 * l_linenumber + 3 * l_suppkey) % 100 + case when l_linestatus = 'F' then 8 else 0 end as h, 45 + (37 * l_suppkey) % 50 - 5 * difficulty as skill,
-    l_orderkey, l_linenumber, l_returnflag, 10 * (1 + floor(l_quantity / 9))::int as step, -l_quantity / 10 as lp, -l_quantity / 10 + l_discount - 0.05 as lp_old, -l_quantity / 10 + l_tax - 0.04 as lp_base, l_linenumber + 1 as len
+    l_orderkey, l_orderkey % 5 as form, l_linenumber, l_returnflag, 10 * (1 + floor(l_quantity / 9))::int as step, -l_quantity / 10 as lp, -l_quantity / 10 + l_discount - 0.05 as lp_old, -l_quantity / 10 + l_tax - 0.04 as lp_base, l_linenumber + 1 as len
   from ln join prob on l_partkey = prompt_id where k <= 16
 ),
 roll as (
@@ -95,8 +95,8 @@ roll as (
   from r0
 ),
 rew as (
-  select *, correct::int::double as r_ans, case when has_box then 0.1 else 0.0 end as r_fmt, case when shape in (0, 1) then 0.15 else 0.0 end as r_dim,
-    case when shape in (0, 2) or (kd = 3 and has_box) then 0.2 else 0.0 end as r_sym, case when kd = 1 and not correct and h % 4 = 2 then -0.25 else 0.0 end as r_cons
+  select *, correct::int::double as r_ans, case when has_box then 0.1 else 0.0 end as r_fmt, case when shape in (0, 1) or (kd = 1 and has_box and form = 1) then 0.15 else 0.0 end as r_dim,
+    case when shape in (0, 2) or (kd = 3 and has_box) or (kd = 1 and has_box and form = 4) then 0.2 else 0.0 end as r_sym, case when kd = 1 and not correct and h % 4 = 2 then -0.25 else 0.0 end as r_cons
   from roll
 ),
 scored as (select *, r_ans as r_bin, greatest(-1.0, least(1.0, round(r_ans + r_fmt + r_dim + r_sym + r_cons, 10))) as r_dense from rew)

@@ -74,10 +74,20 @@ def rollouts(spark: SparkSession, sf: str, most: int = 16) -> DataFrame:
     rows = rows.withColumn("error", F.when(F.col("correct"), right).otherwise(wrong))
     step = F.when(F.col("correct"), 0).otherwise(1)
     number = lambda c: F.format_string("%.4f", F.col(c) * (1 + F.col("error")))
+    # how an answer is written: plain, with a unit, as a power of ten, with commas of thousands, as a fraction
+    form, value = F.col("l_orderkey") % 5, F.col("price") * (1 + F.col("error"))
+    written = (
+        F.when(form == 1, F.concat(number("price"), F.lit(" m")))
+        .when(form == 2, F.format_string("%.7f \\times 10^{3}", value / 1000))
+        .when(form == 3, F.format_number(value, 4))
+        .when(form == 4, F.format_string("\\frac{%d}{10000}", F.round(value * 10000).cast("long")))
+        .otherwise(number("price"))
+    )
+    letter = F.substring(F.lit("ABCD"), (F.col("size") + step) % 4 + 1, F.lit(1))
     answer = (
-        F.when(F.col("kind") == "mcq", F.substring(F.lit("ABCD"), (F.col("size") + step) % 4 + 1, F.lit(1)))
-        .when(F.col("kind") == "numeric", number("price"))
-        .when(F.col("kind") == "multipart", F.concat(number("price"), F.lit("; "), F.when(F.col("error") == 0.5, F.format_string("%.4f", F.col("size").cast("double"))).otherwise(number("size"))))
+        F.when(F.col("kind") == "mcq", F.when(form == 1, F.format_string("\\text{%s}", letter)).when(form == 2, F.format_string("(%s)", letter)).otherwise(letter))
+        .when(F.col("kind") == "numeric", written)
+        .when(F.col("kind") == "multipart", F.concat(F.when(form == 3, F.format_number(value, 4)).otherwise(number("price")), F.lit("; "), F.when(F.col("error") == 0.5, F.format_string("%.4f", F.col("size").cast("double"))).otherwise(number("size"))))
         .otherwise(F.format_string("\\frac{%d}{4}", F.col("size") + step))
     )
     shape = F.col("l_linenumber") % 4

@@ -54,6 +54,29 @@ def frame(spark, cases):
     return spark.createDataFrame([(i, i, k, g, t, None) for i, (k, g, t) in enumerate(cases)], "prompt_id long, k long, kind string, gold array<string>, response string, balance struct<inflow:array<double>,outflow:array<double>>")
 
 
+def test_real_answers(spark):
+    """Answers as they are written: fractions, powers, units, commas, wrapped letters."""
+    cases = [
+        ("numeric", ["0.5"], "\\boxed{\\frac{1}{2}}", True), ("numeric", ["1500"], "\\boxed{1.5\\times 10^{3}}", True), ("numeric", ["9.8"], "\\boxed{9.8 m/s}", True), ("numeric", ["1000"], "\\boxed{1,000}", True),
+        ("numeric", ["5"], "\\boxed{2+3}", True), ("mcq", ["B"], "\\boxed{\\text{B}}", True), ("mcq", ["B"], "\\boxed{B) Paris}", True), ("mcq", ["B"], "\\boxed{Because}", False), ("mcq", ["B"], "\\boxed{}", False),
+        ("numeric", ["1234567.8"], "\\boxed{1{,}234{,}567.8}", True), ("numeric", ["9.8"], "\\boxed{g = 9.8\\,\\mathrm{m}}", True), ("numeric", ["50"], "\\boxed{50\\%}", True), ("numeric", ["1"], "\\boxed{1,000}", False),
+        ("multipart", ["105", "200"], "\\boxed{105,200}", True), ("multipart", ["1234.5", "3"], "\\boxed{1,234.5; 3}", True), ("multipart", ["0.5", "1200"], "\\boxed{\\frac{1}{2}, 1.2\\cdot 10^3}", True), ("multipart", ["1", "2"], "\\boxed{1, 2, 3}", False),
+        ("numeric", ["5"], "\\boxed{five}", False), ("numeric", ["5"], "\\boxed{1/0}", False),
+    ]
+    rows = frame(spark, [c[:3] for c in cases])
+    got = {r.prompt_id: r.verdict for r in G.strict(rows).collect()}
+    assert [got[i] for i in range(len(cases))] == [c[3] for c in cases]
+    lenient = {r.prompt_id: r.judged for r in J.liberal_problem(rows).collect()}
+    parts = {r.prompt_id: r.judged for r in J.all_parts(J.subparts(rows), ["prompt_id"]).collect()}
+    for i, (*_, want) in enumerate(cases):
+        assert lenient[i] == want and (parts[i] or not want)
+
+
+def test_balance_reads_units(spark):
+    rows = spark.createDataFrame([(1, 1, "numeric", ["10"], "\\boxed{10 m}", ([20.0], [10.0])), (2, 1, "numeric", ["10"], "\\boxed{\\frac{40}{2} m}", ([20.0], [10.0]))], "prompt_id long, k long, kind string, gold array<string>, response string, balance struct<inflow:array<double>,outflow:array<double>>")
+    assert {r.prompt_id: r.r_cons for r in G.components(rows).collect()} == {1: 0.0, 2: G.CONS}
+
+
 def test_ladder(spark):
     cases = [("mcq", ["B"], "\\boxed{(b)}", True), ("mcq", ["B"], "\\boxed{C}", False), ("numeric", ["19.6"], "\\boxed{19.7}", True), ("numeric", ["19.6"], "\\boxed{19.8}", False), ("numeric", ["0"], "\\boxed{0}", True),
              ("multipart", ["1", "2"], "\\boxed{1; 2}", True), ("multipart", ["1", "2"], "\\boxed{2; 1}", False), ("multipart", ["1", "2"], "\\boxed{1}", False), ("fraction", ["\\frac{7}{4}"], "\\boxed{\\frac{14}{8}}", True), ("numeric", ["5"], "no box", False)]
@@ -134,11 +157,11 @@ def test_ranges_and_sets(spark):
     assert (o.both, o.set_jaccard, o.subset) == (1, 0.5, True)
 
 
-def test_mcnemar_all_models_and_rollouts(spark, sf):
+def test_mcnemar_models_and_rollouts(spark, sf):
     from clearbound import plans
 
     rows = G.extracted(fx.rollouts(spark, sf)).select("kind", G.agrees(F.col("boxed"), 0.01).alias("a"), G.agrees(F.col("boxed"), 0.02).alias("b")).collect()
-    got = {r.kind: r for r in plans.QUERIES["mcnemar_all"](spark, sf).collect()}
+    got = {r.kind: r for r in plans.QUERIES["mcnemar"](spark, sf).collect()}
     assert set(got) == {r.kind for r in rows} and sum(r.n_pairs for r in got.values()) == fx.rollouts(spark, sf).count()
     for kind, r in got.items():
         own = [(bool(x.a), bool(x.b)) for x in rows if x.kind == kind]
@@ -148,10 +171,10 @@ def test_mcnemar_all_models_and_rollouts(spark, sf):
         assert (r.n_pairs, r.only_a, r.only_b) == (len(own), only_a, only_b) and math.isclose(r.p, p, abs_tol=1e-6)
 
 
-def test_group_profile_all_models(spark, sf):
+def test_group_profile_models(spark, sf):
     from clearbound import plans
 
-    assert {r.model for r in plans.QUERIES["group_profile_all"](spark, sf).collect()} == {r.model for r in fx.rollouts(spark, sf).select("model").distinct().collect()}
+    assert {r.model for r in plans.QUERIES["group_profile"](spark, sf).collect()} == {r.model for r in fx.rollouts(spark, sf).select("model").distinct().collect()}
 
 
 def test_half_tail_is_exact_beyond_1000(spark):

@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from ..sources.tables import stored
 from . import lexical, semantic
 from .embed import CharGrams
 
@@ -154,7 +155,7 @@ def remove(train: DataFrame, verdicts: DataFrame, removal: str = "close_dup") ->
 
 def certificate(train: DataFrame, evals: DataFrame, embedder: CharGrams, judge: RuleJudge | None = None, tau_j: float = TAU_J, tau_c: float = TAU_C, rule: str = "union", removal: str = "close_dup") -> DataFrame:
     """One row: what was audited and how, and what a second audit of the released pool finds."""
-    verdicts = judged(all_pairs(train, evals, embedder, tau_j, tau_c), train, evals, judge)
+    verdicts = stored(judged(all_pairs(train, evals, embedder, tau_j, tau_c), train, evals, judge).select("t_id", "stage1", "stage2", "label"))
     released = remove(train, verdicts, removal)
     again = judged(all_pairs(released, evals, embedder, tau_j, tau_c), released, evals, judge)
     count = lambda cond, name: F.coalesce(F.sum(F.when(cond, 1).otherwise(0)), F.lit(0)).cast("long").alias(name)
@@ -176,15 +177,18 @@ def assert_disjoint(cert: DataFrame) -> DataFrame:
 
 
 def cleanup(train: DataFrame, passes: list[tuple[str, DataFrame, Callable[[DataFrame, DataFrame], DataFrame]]]) -> DataFrame:
-    """Ledger of ordered passes (name, eval, finder): what each channel flags in the pool, and
-    what it drops that no pass before it did."""
+    """Ledger of ordered passes (name, eval, finder): how many records each channel flags in
+    the pool, by which stage, how many of them an earlier pass had flagged, and what it drops
+    that none had. A finder gives t_id, stage1, stage2, once or more for a record."""
     rows, dropped = None, None
     total = train.count()
     for no, (name, ev, find) in enumerate(passes, 1):
-        flagged = find(train, ev).select("t_id").distinct()
+        flagged = stored(find(train, ev).groupBy("t_id").agg(F.max("stage1").alias("s1"), F.max("stage2").alias("s2")))
         new = flagged if dropped is None else flagged.join(dropped, "t_id", "left_anti")
         dropped = new if dropped is None else dropped.unionByName(new)
-        row = flagged.agg(F.count(F.lit(1)).alias("flagged")).crossJoin(new.agg(F.count(F.lit(1)).alias("dropped_new"))).select(F.lit(no).alias("pass_no"), F.lit(name).alias("eval"), "flagged", "dropped_new")
+        counts = flagged.agg(F.count(F.lit(1)).alias("flagged"), F.count_if("s1").alias("by_lexical"), F.count_if("s2").alias("by_semantic"))
+        both = counts.crossJoin(new.agg(F.count(F.lit(1)).alias("dropped_new")))  # a row each
+        row = both.select(F.lit(no).alias("pass_no"), F.lit(name).alias("eval"), "flagged", "by_lexical", "by_semantic", (F.col("flagged") - F.col("dropped_new")).alias("flagged_before"), "dropped_new")
         rows = row if rows is None else rows.unionByName(row)
     so_far = F.sum("dropped_new").over(Window.orderBy("pass_no").rowsBetween(Window.unboundedPreceding, 0))  # a row a pass
     return rows.withColumn("remaining", (F.lit(total) - so_far).cast("long"))
@@ -198,6 +202,14 @@ def release_gate(train: DataFrame, flagged: DataFrame, rate: float = 0.01) -> Da
     return out.withColumn("gate", F.when(F.col("leak_rate") >= rate, "remove").otherwise("keep"))
 
 
+def removal_diff(train: DataFrame, flagged: DataFrame, rate: float = 0.01) -> DataFrame:
+    """id, pool, change ('removed') of the records that a release loses: those that are
+    flagged where the gate says remove, else none."""
+    hit = flagged.select(F.col("t_id").alias("id")).distinct()
+    gate = release_gate(train, flagged, rate).where("gate = 'remove'").select("gate")
+    return train.select("id", "pool").join(hit, "id", "left_semi").crossJoin(F.broadcast(gate)).select("id", "pool", F.lit("removed").alias("change"))  # one row or none
+
+
 # -- reports
 
 
@@ -256,6 +268,14 @@ def sweep(best: DataFrame, js=(0.3, 0.4, 0.5), cs=(0.80, 0.85, 0.90)) -> DataFra
     return best.crossJoin(F.broadcast(grid)).groupBy("j_thr", "c_thr").agg(F.sum(hit).cast("long").alias("flagged"), F.count(F.lit(1)).alias("records")).withColumn("rate", F.col("flagged") / F.col("records"))
 
 
+def sweep_single(best: DataFrame, js=(0.3, 0.4, 0.5), cs=(0.80, 0.85, 0.90)) -> DataFrame:
+    """Records flagged by one stage alone at each of its thresholds; the other's is null."""
+    at = [("lexical", j, None, F.col("j_max") >= j - 1e-9) for j in js] + [("semantic", None, c, F.col("c_max") >= c - 1e-9) for c in cs]
+    one = lambda n, j, c, hit: F.struct(F.lit(n).alias("stages"), F.lit(j).cast("double").alias("j_thr"), F.lit(c).cast("double").alias("c_thr"), F.coalesce(hit, F.lit(False)).cast("int").alias("hit"))
+    rows = best.select(F.explode(F.array(*(one(*x) for x in at))).alias("r"))
+    return rows.groupBy("r.stages", "r.j_thr", "r.c_thr").agg(F.sum("r.hit").cast("long").alias("flagged"), F.count(F.lit(1)).alias("records")).withColumn("rate", F.col("flagged") / F.col("records"))
+
+
 def single_stage(best: DataFrame, tau_j: float = TAU_J, tau_c: float = TAU_C) -> DataFrame:
     lex, sem = F.col("j_max") >= tau_j - 1e-9, F.col("c_max") >= tau_c - 1e-9
     rows = best.select(F.explode(F.array(*(F.struct(F.lit(n).alias("stages"), c.cast("int").alias("hit")) for n, c in (("lexical", lex), ("semantic", sem), ("union", lex | sem))))).alias("r"))

@@ -129,17 +129,25 @@ def pairs_pruned(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.
     """As ``pairs`` without loss, for two large sides: candidates share one of each side's
     rarest grams and pass the length filter, then are counted exactly. collect_list is
     of one record's grams, so bounded by its length."""
-    a, b = gram_sets(train, k), gram_sets(evals, k)
-    counts = a.select(F.explode("grams").alias("gram")).unionAll(b.select(F.explode("grams").alias("gram"))).groupBy("gram").agg(F.count(F.lit(1)).alias("c"))
+    return _pruned(gram_sets(train, k), gram_sets(evals, k), tau)
+
+
+def _pruned(a: DataFrame, b: DataFrame | None, tau: float) -> DataFrame:
+    """Pairs of two tables of gram sets; without b, those of one with itself, t_id > e_id."""
+    within, b = b is None, a if b is None else b
+    grams = a.select(F.explode("grams").alias("gram"))
+    grams = grams if within else grams.unionAll(b.select(F.explode("grams").alias("gram")))
+    counts = grams.groupBy("gram").agg(F.count(F.lit(1)).alias("c"))
     t, e = _prefixes(_ranked(a, counts), tau, "t"), _prefixes(_ranked(b, counts), tau, "e")
-    fits = (F.least("t_n", "e_n") >= F.greatest("t_n", "e_n") * F.lit(tau) - 1e-9)
+    fits = F.least("t_n", "e_n") >= F.greatest("t_n", "e_n") * F.lit(tau) - 1e-9
+    fits = fits & (F.col("t_id") > F.col("e_id")) if within else fits
     cand = t.join(e, "gram").where(fits).select("t_id", "e_id").distinct()
     full = cand.join(a.select(F.col("id").alias("t_id"), F.col("grams").alias("ga")), "t_id").join(b.select(F.col("id").alias("e_id"), F.col("grams").alias("gb")), "e_id")
     out = full.withColumn("inter", F.size(F.array_intersect("ga", "gb")).cast("long")).withColumn("jaccard", X.jaccard(F.col("ga"), F.col("gb")))
     return out.where(F.col("jaccard") >= tau - 1e-9).select("t_id", "e_id", "inter", "jaccard")
 
 
-def pairs_minhash(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.4, bands: int = 24, rows: int = 2) -> DataFrame:
+def pairs_minhash(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.4, bands: int = 40, rows: int = 2) -> DataFrame:
     """Extension for two very large sides: minima of seeded hashes banded, candidates
     verified exactly. Recall is measured against ``pairs``."""
 
@@ -164,10 +172,15 @@ def dedup_exact(df: DataFrame) -> DataFrame:
 
 
 def dedup_lexical(df: DataFrame, k: int = 5, tau: float = 0.4) -> DataFrame:
-    """id, kept: a record goes if one of smaller id overlaps it. Pairs are those of the
-    pruned join of the pool with itself."""
-    p = pairs_pruned(df, df, k, tau).where("t_id > e_id").select(F.col("t_id").alias("id")).distinct().withColumn("hit", F.lit(True))
-    return df.select("id").join(p, "id", "left").select("id", F.coalesce(~F.col("hit"), F.lit(True)).alias("kept"))
+    """id, kept: a record goes if one of smaller id overlaps it. Records of equal gram sets
+    are one class, whose smallest id stands for it in the pruned join of the pool with
+    itself; so copies make no pairs. A record without grams stays."""
+    sets = gram_sets(df, k).where("n > 0").withColumn("form", F.md5(F.to_json("grams")))
+    classes = sets.groupBy("form").agg(F.min("id").alias("id"), F.first("grams").alias("grams"), F.first("n").alias("n"))
+    later = _pruned(classes.drop("form"), None, tau).select(F.col("t_id").alias("id"))
+    copies = sets.select("id", "form").join(classes.select("form", F.col("id").alias("first")), "form").where(F.col("id") != F.col("first")).select("id")
+    gone = later.unionByName(copies).distinct().withColumn("hit", F.lit(True))
+    return df.select("id").join(gone, "id", "left").select("id", F.col("hit").isNull().alias("kept"))
 
 
 def union_all(frames: list[DataFrame]) -> DataFrame:

@@ -8,9 +8,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
-from ..operators import audit, embed, lexical, semantic, stats
+from ..operators import audit, corpus, embed, lexical, semantic, stats
 from ..sources import fixtures as fx
-from ..sources.tables import load
+from ..sources.tables import load, stored
 from . import sql as S
 from .registry import query
 
@@ -26,6 +26,11 @@ def _verdicts(spark, sf) -> DataFrame:
     return audit.judged(audit.all_pairs(t, e, E1), t, e)
 
 
+def _six_verdicts(spark, sf) -> DataFrame:
+    t, e = fx.train_docs(spark, sf), fx.six_evals(spark, sf)
+    return audit.judged(audit.all_pairs(t, e, E1), t, e)
+
+
 W = "with " + S.SPLIT
 L = "with " + S.LEX
 P = "with " + S.PAIRS
@@ -198,19 +203,19 @@ def stage_counts(spark, sf):
     return audit.stage_counts(_verdicts(spark, sf))
 
 
-CELLS = P + """, cell as (select m.eval, t.pool, count(*) filter (stage1) as s1, count(*) filter (stage2) as s2, count(*) filter (label = 'close_dup') as s3 from verdict v join tr t on t.id = v.t_id join members m on m.id = v.e_id group by all),
+CELLS = P.replace(S.SPLIT, S.SPLIT6) + """, cell as (select m.eval, t.pool, count(*) filter (stage1) as s1, count(*) filter (stage2) as s2, count(*) filter (label = 'close_dup') as s3 from verdict v join tr t on t.id = v.t_id join members m on m.id = v.e_id group by all),
 grid as (select * from (select distinct eval from members), (select distinct pool from tr)),
 mat as (select eval, pool, coalesce(s1, 0) as s1, coalesce(s2, 0) as s2, coalesce(s3, 0) as s3 from grid left join cell using (eval, pool)) """
 
 
 @query("contam_matrix", CELLS + "select * from mat")
 def contam_matrix(spark, sf):
-    return audit.matrix(_verdicts(spark, sf), fx.memberships(fx.eval_docs(spark, sf)), fx.train_docs(spark, sf))
+    return audit.matrix(_six_verdicts(spark, sf), fx.six_memberships(fx.six_evals(spark, sf)), fx.train_docs(spark, sf))
 
 
 @query("contam_totals", CELLS + "select pool, s2_cells, coalesce(s2_unique, 0) as s2_unique, s3_cells, coalesce(s3_unique, 0) as s3_unique from (select pool, sum(s2)::bigint as s2_cells, sum(s3)::bigint as s3_cells from mat group by pool) left join (select pool, count(*) filter (stage2) as s2_unique, count(*) filter (label = 'close_dup') as s3_unique from verdict join tr on tr.id = t_id group by pool) using (pool)")
 def contam_totals(spark, sf):
-    return audit.totals(_verdicts(spark, sf), fx.memberships(fx.eval_docs(spark, sf)), fx.train_docs(spark, sf))
+    return audit.totals(stored(_six_verdicts(spark, sf)), fx.six_memberships(fx.six_evals(spark, sf)), fx.train_docs(spark, sf))
 
 
 BUCKET = "case " + " ".join(f"when cosine >= {lo} - 1e-9 and cosine < {hi} - 1e-9 then '{n}'" for n, lo, hi in audit.BUCKETS) + " end"
@@ -248,19 +253,14 @@ def jaccard_hist(spark, sf):
 
 PAGE_TEXT = r"trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(html, '<(script|style|nav)[^>]*>[\s\S]*?</(script|style|nav)>', ' ', 'gi'), '<[^>]+>', ' ', 'g'), '&[a-z]+;|&#[0-9]+;', ' ', 'g'), '[ \t\n\r\f]+', ' ', 'g'))"
 
-CHANNEL = "with " + f"pg as (select page_id as id, {PAGE_TEXT} as text from pages), cv as (select conv_id * 1000 + turn as id, text from conversations), ch as (select 'pages' as channel, id, text from pg union all select 'conversations', id, text from cv), ck as (select channel || ':' || id as key, channel, id, text from ch), be as (select 'benchmark' as eval, item_id as id, text from benchmark union all select 'eval', doc_id, text from documents where ('0x' || substr(md5(doc_id::varchar), 1, 8))::bigint % 5 = 0), bk as (select eval || ':' || id as key, eval, id, text from be)," + S.grams("cg", "ck", key="key") + "," + S.grams("bg", "bk", key="key") + """, hit as (select c.key as ck, b.key as bk, count(*) as inter, any_value(c.n) as cn, any_value(b.n) as bn from cg c join bg b using (g) group by all)
-select channel, eval, count(*) filter (shared) as shared_pairs, count(*) filter (s1) as s1_pairs from (select split_part(x.channel, ':', 1) as channel, x.eval, h.inter is not null as shared, coalesce(h.inter / (h.cn + h.bn - h.inter) >= 0.4 - 1e-9, false) as s1 from (select c.channel, e.eval from (select distinct channel from ch) c, (select distinct eval from be) e) x left join hit h on split_part(h.ck, ':', 1) = x.channel and split_part(h.bk, ':', 1) = x.eval) group by channel, eval"""
-
-
-def page_text_col(html):
-    x = F.regexp_replace(html, r"(?i)<(script|style|nav)[^>]*>[\s\S]*?</(script|style|nav)>", " ")
-    x = F.regexp_replace(F.regexp_replace(x, r"<[^>]+>", " "), r"&[a-z]+;|&#[0-9]+;", " ")
-    return F.trim(F.regexp_replace(x, r"[ \t\n\r\f]+", " "))
+CHANNEL = "with " + f"pg as (select page_id as id, {PAGE_TEXT} as text from pages), cv as (select conv_id * 1048576 + turn as id, text from conversations), ch as (select 'pages' as channel, id, text from pg union all select 'conversations', id, text from cv), ck as (select channel || ':' || id as key, channel, id, text from ch), be as (select 'benchmark' as eval, item_id as id, text from benchmark union all select 'eval', doc_id, text from documents where ('0x' || substr(md5(doc_id::varchar), 1, 8))::bigint % 5 = 0), bk as (select eval || ':' || id as key, eval, id, text from be)," + S.grams("cg", "ck", key="key") + "," + S.grams("bg", "bk", key="key") + "," + S.e1("cv1", "ck", key="key") + "," + S.e1("bv1", "bk", key="key") + """, near as (select channel, eval, count(*) as s2 from (select split_part(x.id, ':', 1) as channel, split_part(y.id, ':', 1) as eval, x.id as cid, y.id as bid, sum(x.w * y.w) as cosine from cv1 x join bv1 y using (b) group by all) where cosine >= 0.85 - 1e-9 group by all),
+hit as (select c.key as ck, b.key as bk, count(*) as inter, any_value(c.n) as cn, any_value(b.n) as bn from cg c join bg b using (g) group by all)
+select channel, eval, count(*) filter (shared) as shared_pairs, count(*) filter (s1) as s1_pairs, any_value(coalesce(s2, 0)) as s2_pairs from (select split_part(x.channel, ':', 1) as channel, x.eval, h.inter is not null as shared, coalesce(h.inter / (h.cn + h.bn - h.inter) >= 0.4 - 1e-9, false) as s1 from (select c.channel, e.eval from (select distinct channel from ch) c, (select distinct eval from be) e) x left join hit h on split_part(h.ck, ':', 1) = x.channel and split_part(h.bk, ':', 1) = x.eval) left join near using (channel, eval) group by channel, eval"""
 
 
 def channels(spark, sf) -> dict[str, DataFrame]:
-    pages = load(spark, sf, "pages").select(F.col("page_id").alias("id"), page_text_col(F.col("html")).alias("text"))
-    turns = load(spark, sf, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text")
+    pages = load(spark, sf, "pages").select(F.col("page_id").alias("id"), corpus.page_text(F.col("html")).alias("text"))
+    turns = load(spark, sf, "conversations").select((F.shiftleft("conv_id", 20) + F.col("turn")).alias("id"), "text")
     return {"pages": pages, "conversations": turns}
 
 
@@ -271,7 +271,9 @@ def cross_channel(spark, sf):
     for c, df in channels(spark, sf).items():
         for e, ev in evals.items():
             o = lexical.overlaps(df, ev).withColumn("j", F.col("inter") / (F.col("t_n") + F.col("e_n") - F.col("inter")))
-            rows.append(o.agg(F.count(F.lit(1)).alias("shared_pairs"), F.count(F.when(F.col("j") >= 0.4 - 1e-9, 1)).alias("s1_pairs")).select(F.lit(c).alias("channel"), F.lit(e).alias("eval"), "shared_pairs", "s1_pairs"))
+            lex = o.agg(F.count(F.lit(1)).alias("shared_pairs"), F.count(F.when(F.col("j") >= 0.4 - 1e-9, 1)).alias("s1_pairs"))
+            sem = semantic.pairs(df, ev, E1).agg(F.count(F.lit(1)).alias("s2_pairs"))
+            rows.append(lex.crossJoin(sem).select(F.lit(c).alias("channel"), F.lit(e).alias("eval"), "shared_pairs", "s1_pairs", "s2_pairs"))  # a row each
     return reduce(DataFrame.unionByName, rows)
 
 
@@ -293,16 +295,20 @@ def embedder_spearman(spark, sf):
     return stats.spearman(a.join(b, "t_id"), "x", "y")
 
 
-@query("cleanup_ledger", "with " + S.SPLIT + S.COS1 + """, en as (select distinct t_id from cos1 join ev on ev.id = e_id where lang = 'en' and cosine >= 0.85 - 1e-9), fr as (select distinct t_id from cos1 join ev on ev.id = e_id where lang = 'fr' and cosine >= 0.85 - 1e-9),
-bl as (select item_id as id, text from benchmark),""" + S.grams("tg", "tr") + "," + S.grams("bg", "bl") + """, bn as (select distinct t_id from (select t.id as t_id, b.id as b_id, count(*) / any_value(b.n) as c from tg t join bg b using (g) group by all) where c >= 0.8 - 1e-9),
-l as (select 1 as pass_no, 'benchmark' as eval, count(*) as flagged, count(*) as dropped_new from bn
-union all select 2, 'eval-en', (select count(*) from en), count(*) from en where t_id not in (select t_id from bn)
-union all select 3, 'eval-fr', (select count(*) from fr), count(*) from fr where t_id not in (select t_id from bn) and t_id not in (select t_id from en))
-select pass_no, eval, flagged, dropped_new, ((select count(*) from tr) - sum(dropped_new) over (order by pass_no))::bigint as remaining from l""")
+@query("cleanup_ledger", LINES + ", tlk as (select id || ':' || pos as key, text from tl)," + S.e1("lv", "tlk", key="key") + "," + S.e1("bv", "bl") + S.COS1 + """, en as (select distinct t_id from cos1 join ev on ev.id = e_id where lang = 'en' and cosine >= 0.85 - 1e-9), fr as (select distinct t_id from cos1 join ev on ev.id = e_id where lang = 'fr' and cosine >= 0.85 - 1e-9),
+b1 as (select distinct t_id from (select a.id as t_id, a.pos as pos, b.id as e_id, count(*) / (any_value(a.n) + any_value(b.n) - count(*)) as j from lg a join bg b using (g) group by all) where j >= 0.4 - 1e-9),
+b2 as (select distinct split_part(line, ':', 1)::bigint as t_id from (select x.id as line, y.id as e_id, sum(x.w * y.w) as cosine from lv x join bv y using (b) group by all) where cosine >= 0.85 - 1e-9), bn as (select t_id from b1 union select t_id from b2),
+l as (select 1 as pass_no, 'benchmark' as eval, count(*) as flagged, (select count(*) from b1) as by_lexical, (select count(*) from b2) as by_semantic, count(*) as dropped_new from bn
+union all select 2, 'eval-en', (select count(*) from en), 0, (select count(*) from en), count(*) from en where t_id not in (select t_id from bn)
+union all select 3, 'eval-fr', (select count(*) from fr), 0, (select count(*) from fr), count(*) from fr where t_id not in (select t_id from bn) and t_id not in (select t_id from en))
+select pass_no, eval, flagged, by_lexical, by_semantic, flagged - dropped_new as flagged_before, dropped_new, ((select count(*) from tr) - sum(dropped_new) over (order by pass_no))::bigint as remaining from l""")
 def cleanup_ledger(spark, sf):
-    e = fx.eval_docs(spark, sf)
-    near = lambda t, ev: semantic.pairs(t, ev, E1).select("t_id")
-    passes = [("benchmark", fx.bench(spark, sf), lambda t, ev: lexical.containment(t, ev)), ("eval-en", e.where("lang = 'en'"), near), ("eval-fr", e.where("lang = 'fr'"), near)]
+    """Pass 1 by either stage on the lines of the pool, passes 2 and 3 by cosine on whole records."""
+    e, lines = fx.eval_docs(spark, sf), fx.train_lines(spark, sf)
+    found = lambda df, s1, s2: df.select("t_id", F.lit(s1).alias("stage1"), F.lit(s2).alias("stage2"))
+    near = lambda t, ev: found(semantic.pairs(t, ev, E1), False, True)
+    either = lambda t, ev: found(lexical.pairs(lines, ev, keys=("id", "pos")), True, False).unionByName(near(lines, ev))
+    passes = [("benchmark", fx.bench(spark, sf), either), ("eval-en", e.where("lang = 'en'"), near), ("eval-fr", e.where("lang = 'fr'"), near)]
     return audit.cleanup(fx.train_docs(spark, sf), passes)
 
 
@@ -311,7 +317,7 @@ def eval_coverage(spark, sf):
     return audit.coverage(_verdicts(spark, sf), fx.memberships(fx.eval_docs(spark, sf)))
 
 
-@query("novel_share", L + f", ch as (select page_id as id, {PAGE_TEXT} as text from pages union all select 1000000000 + conv_id * 1000 + turn, text from conversations)," + S.grams("cg", "ch") + ", hit as (select distinct e_id from lex where jaccard >= 0.4 - 1e-9 union select e_id from (select c.id, e.id as e_id, count(*) / (any_value(c.n) + any_value(e.n) - count(*)) as j from cg c join eg e using (g) group by all) where j >= 0.4 - 1e-9) select count(*) as items, (select count(*) from hit) as disclosed, count(*) - (select count(*) from hit) as novel, round((count(*) - (select count(*) from hit)) / count(*), 6) as novel_share from ev")
+@query("novel_share", L + f", ch as (select page_id as id, {PAGE_TEXT} as text from pages union all select -1 - (conv_id * 1048576 + turn), text from conversations)," + S.grams("cg", "ch") + ", hit as (select distinct e_id from lex where jaccard >= 0.4 - 1e-9 union select e_id from (select c.id, e.id as e_id, count(*) / (any_value(c.n) + any_value(e.n) - count(*)) as j from cg c join eg e using (g) group by all) where j >= 0.4 - 1e-9) select count(*) as items, (select count(*) from hit) as disclosed, count(*) - (select count(*) from hit) as novel, round((count(*) - (select count(*) from hit)) / count(*), 6) as novel_share from ev")
 def novel_share(spark, sf):
     return audit.novelty(fx.eval_docs(spark, sf).select("id", "text"), [fx.train_docs(spark, sf), *channels(spark, sf).values()])
 
@@ -322,6 +328,12 @@ def release_gate(spark, sf):
     return audit.release_gate(t, audit.all_pairs(t, new, E1))
 
 
+@query("release_diff", P + ", f as (select distinct t_id from verdict join ev on ev.id = e_id where lang = 'de') select id, pool, 'removed' as change from tr where id in (select t_id from f) and (select count(*) from f) / (select count(*) from tr) >= 0.01")
+def release_diff(spark, sf):
+    t, new = fx.train_docs(spark, sf), fx.eval_docs(spark, sf).where("lang = 'de'")
+    return audit.removal_diff(t, stored(audit.all_pairs(t, new, E1)))
+
+
 @query("dedup_exact", W + "select id, row_number() over (partition by md5(text) order by id) = 1 as kept from tr")
 def dedup_exact(spark, sf):
     return lexical.dedup_exact(fx.train_docs(spark, sf))
@@ -332,12 +344,35 @@ def dedup_lexical(spark, sf):
     return lexical.dedup_lexical(fx.train_docs(spark, sf).select("id", "text"))
 
 
-@query("curated_sweep", W + "," + S.grams("tg0", "tr") + ", hit as (select distinct a_id from (select a.id as a_id, b.id as b_id, count(*) / (any_value(a.n) + any_value(b.n) - count(*)) as j from tg0 a join tg0 b on a.g = b.g and a.id > b.id group by all) where j >= 0.4 - 1e-9), cur as (select * from tr where id not in (select a_id from hit))," + S.grams("tg", "cur") + "," + S.grams("eg", "ev") + ", lx as (select t.id as t_id, e.id as e_id, count(*) / (any_value(t.n) + any_value(e.n) - count(*)) as j from tg t join eg e using (g) group by all), jm as (select id as t_id, coalesce(max(j), 0) as j_max from cur left join lx on lx.t_id = cur.id group by all) select count(*) as records, count(*) filter (j_max >= 0.3 - 1e-9) as j30, count(*) filter (j_max >= 0.4 - 1e-9) as j40, count(*) filter (j_max >= 0.5 - 1e-9) as j50 from jm")
+CURATED = W + "," + S.grams("tg0", "tr") + """, hit as (select distinct a_id from (select a.id as a_id, b.id as b_id, count(*) / (any_value(a.n) + any_value(b.n) - count(*)) as j from tg0 a join tg0 b on a.g = b.g and a.id > b.id group by all) where j >= 0.4 - 1e-9),
+"""
+NEAR = S.e1("t0", "tr") + """, near as (select distinct a_id from (select x.id as a_id, y.id as b_id, sum(x.w * y.w) as cosine from t0 x join t0 y on x.b = y.b and x.id > y.id group by all) where cosine >= 0.95 - 1e-9)
+"""
+
+
+@query("dedup_semantic", W + "," + NEAR + "select id, id not in (select a_id from near) as kept from tr")
+def dedup_semantic(spark, sf):
+    return semantic.dedup(fx.train_docs(spark, sf), E1)
+
+
+GRID = S.grams("tg", "cur") + "," + S.grams("eg", "ev") + "," + S.e1("t1", "cur") + "," + S.e1("v1", "ev") + """,
+jm as (select t_id, max(j) as j from (select t.id as t_id, e.id as e_id, count(*) / (any_value(t.n) + any_value(e.n) - count(*)) as j from tg t join eg e using (g) group by all) group by t_id),
+cm as (select t_id, max(cosine) as c from (select x.id as t_id, y.id as e_id, sum(x.w * y.w) as cosine from t1 x join v1 y using (b) group by all) group by t_id),
+bs as (select id, coalesce(j, 0) as j_max, coalesce(c, 0) as c_max from cur left join jm on jm.t_id = id left join cm on cm.t_id = id),
+js as (select unnest([0.3, 0.4, 0.5])::double as j_thr), cs as (select unnest([0.8, 0.85, 0.9])::double as c_thr),
+hits as (select 'union' as stages, j_thr, c_thr, j_max >= j_thr - 1e-9 or c_max >= c_thr - 1e-9 as hit from bs, js, cs union all select 'lexical', j_thr, null, j_max >= j_thr - 1e-9 from bs, js union all select 'semantic', null, c_thr, c_max >= c_thr - 1e-9 from bs, cs)
+select stages, j_thr, c_thr, count(*) filter (hit) as flagged, count(*) as records, round(count(*) filter (hit) / count(*), 6) as rate from hits group by stages, j_thr, c_thr"""
+
+
+@query("curated_sweep", CURATED + NEAR + ", cur as (select * from tr where id not in (select a_id from hit) and id not in (select a_id from near))," + GRID)
 def curated_sweep(spark, sf):
+    """The grid and the rows of single stages on the pool after lexical and embedding dedup,
+    each judged on the whole pool."""
     t = fx.train_docs(spark, sf)
-    cur = t.join(lexical.dedup_lexical(t.select("id", "text")).where("kept").select("id"), "id", "left_semi")
-    n = lambda v: F.count(F.when(F.col("j_max") >= v - 1e-9, 1))
-    return lexical.best(cur, fx.eval_docs(spark, sf)).agg(F.count(F.lit(1)).alias("records"), n(0.3).alias("j30"), n(0.4).alias("j40"), n(0.5).alias("j50"))
+    kept = lexical.dedup_lexical(t.select("id", "text")).where("kept").join(semantic.dedup(t, E1).where("kept"), "id", "left_semi")
+    cur = stored(t.join(kept.select("id"), "id", "left_semi"))
+    best = stored(audit.best_scores(cur, fx.eval_docs(spark, sf), E1).select("t_id", "j_max", "c_max"))
+    return audit.sweep(best).withColumn("stages", F.lit("union")).unionByName(audit.sweep_single(best))
 
 
 PLANTS = r"""with b as (select item_id as id, text, list_filter(string_split(text, ' '), lambda w: w <> '') as w from benchmark),

@@ -13,6 +13,10 @@ members as (select id, lang as eval from ev union all select id, 'all' from ev)
 """
 
 
+#: As SPLIT, with the benchmark's passages among the evals.
+SPLIT6 = SPLIT.replace("from md where is_eval),", "from md where is_eval union all select -1 - item_id, text, 'benchmark', null from benchmark),").replace("select id, 'all' from ev", "select id, 'all' from ev where id >= 0")
+
+
 def grams(name: str, source: str, k: int = 5, key: str = "id") -> str:
     """name(key, g, n): distinct k-grams and their number."""
     return f"""

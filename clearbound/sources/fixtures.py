@@ -36,6 +36,17 @@ def memberships(evals: DataFrame) -> DataFrame:
     return evals.select("id", F.explode(F.array("lang", F.lit("all"))).alias("eval"))
 
 
+def six_evals(spark: SparkSession, sf: str) -> DataFrame:
+    """Eval documents, and the benchmark's passages as a split of its own with ids below 0."""
+    passages = bench(spark, sf).select((-1 - F.col("id")).alias("id"), "text", F.lit("benchmark").alias("lang"))
+    return eval_docs(spark, sf).select("id", "text", "lang").unionByName(passages)
+
+
+def six_memberships(evals: DataFrame) -> DataFrame:
+    """``memberships`` of documents; a passage is in the benchmark alone."""
+    return evals.select("id", F.explode(F.when(F.col("id") < 0, F.array("lang")).otherwise(F.array("lang", F.lit("all")))).alias("eval"))
+
+
 def train_lines(spark: SparkSession, sf: str) -> DataFrame:
     t = train_docs(spark, sf)
     return t.select("id", F.posexplode(F.split("text", "\n")).alias("pos", "text"))

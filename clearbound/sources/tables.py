@@ -67,6 +67,12 @@ def spread(df: DataFrame) -> DataFrame:
     return df.repartition(df.sparkSession.sparkContext.defaultParallelism) if size <= SMALL_TABLE else df
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """A result that several parts of a plan read, computed once: a checkpoint where the
+    session names a shared folder, else kept by the executors with its lineage."""
+    return df.checkpoint() if df.sparkSession.sparkContext.getCheckpointDir() else df.persist()
+
+
 def sized_broadcast(df: DataFrame, most_rows: int) -> DataFrame:
     """Broadcast hint where a count shows that the side is small; else Spark shuffles."""
     return F.broadcast(df) if df.count() <= most_rows else df

@@ -48,7 +48,7 @@ def test_runs(spark, name):
 
 
 def test_entry(spark):
-    assert entry.entry(spark).count() == 25
+    assert entry.entry(spark).count() == 30
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 

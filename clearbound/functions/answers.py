@@ -120,8 +120,9 @@ def _value(node, names: dict[str, float]) -> float:
     raise ValueError("not an allowed expression")
 
 
-#: A unit at the end: letters, and what powers and quotients of units are written with.
-_UNIT = re.compile(r"\s*(?:[A-Za-z]+[0-9^()\-]*[\s*/]*)+$")
+#: A unit at the end: letters, and what powers and quotients of units are written with. An
+#: exponent after a digit is part of the number.
+_UNIT = re.compile(r"\s*(?!(?<=[0-9.])[eE][-+]?[0-9])(?:[A-Za-z]+[0-9^()\-]*[\s*/]*)+$")
 
 
 def evaluate(x: str | None) -> float | None:

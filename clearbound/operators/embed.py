@@ -68,6 +68,8 @@ class CharGrams:
     def encode(self, texts: list[str], memory: dict | None = None) -> np.ndarray:
         """Unit vectors of texts, of a bounded number at a time. ``memory`` keeps term hashes."""
         memory = {} if memory is None else memory
+        if type(self) is CharGrams and self.k == 4:
+            return self._encode_fours(texts, memory)
         out = np.zeros((len(texts), WIDTH))
         words, row, term, count = self.terms(texts)
         if words:
@@ -83,10 +85,58 @@ class CharGrams:
         norm = np.sqrt((out * out).sum(1, keepdims=True))
         return np.divide(out, norm, out=out, where=norm > 0)
 
+    def _encode_fours(self, texts: list[str], memory: dict) -> np.ndarray:
+        """As ``encode``: four characters of 16 bits are one number, and hashes of numbers seen
+        before are looked up. A text with other characters goes by ``terms``."""
+        keys, counts, rows = [], [], []
+        out = np.zeros((len(texts), WIDTH))
+        other = memory.setdefault("other", {})
+        for i, x in enumerate(texts):
+            c = np.frombuffer(normalize_text(x or "").encode("utf-32-le", "surrogatepass"), "<u4")
+            if c.size < 4:
+                continue
+            if c.max() >= 0xD800:
+                out[i] = CharGrams4(k=4).encode([x], other)[0]
+                continue
+            c = c.astype(np.uint64)
+            key, n = np.unique(c[:-3] << np.uint64(48) | c[1:-2] << np.uint64(32) | c[2:-1] << np.uint64(16) | c[3:], return_counts=True)
+            keys.append(key)
+            counts.append(n)
+            rows.append(np.full(key.size, i * WIDTH))
+        if not keys:
+            return out
+        key = np.concatenate(keys)
+        known, slot, sign = memory.get("fours", (np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0)))
+        if known.size > 1_000_000:
+            known, slot, sign = known[:0], slot[:0], sign[:0]
+        at = np.searchsorted(known, key)
+        new = np.unique(key[known[np.minimum(at, known.size - 1)] != key]) if known.size else np.unique(key)
+        if new.size:
+            shifts = (np.uint64(48), np.uint64(32), np.uint64(16), np.uint64(0))
+            letters = "".join(map(chr, np.stack([new >> s & np.uint64(0xFFFF) for s in shifts], axis=1).reshape(-1).tolist()))
+            found = [feature_hash(letters[k : k + 4]) for k in range(0, len(letters), 4)]
+            known = np.r_[known, new]
+            order = np.argsort(known, kind="stable")
+            known = known[order]
+            slot = np.r_[slot, np.array([h % WIDTH for h, _ in found], np.int64)][order]
+            sign = np.r_[sign, np.array([float(s) for _, s in found])][order]
+            at = np.searchsorted(known, key)
+        memory["fours"] = known, slot, sign
+        weight = sign[at] * (1 + np.log(np.concatenate(counts)))
+        out += np.bincount(np.concatenate(rows) + slot[at], weight, out.size).reshape(out.shape)
+        whole = np.unique(np.concatenate(rows) // WIDTH)
+        norm = np.sqrt((out[whole] ** 2).sum(1, keepdims=True))
+        out[whole] = np.divide(out[whole], norm, out=np.zeros((whole.size, WIDTH)), where=norm > 0)
+        return out
+
     def scale(self, slots: np.ndarray) -> np.ndarray:
         return np.ones(slots.size)
 
 
+class CharGrams4(CharGrams):
+    """E1 by terms, for characters of any size."""
+
+
 @dataclass(frozen=True)
 class WordTfIdf(CharGrams):
     """E2: 1 + log(tf) of words times log((1 + N) / (1 + df)) + 1; document frequencies

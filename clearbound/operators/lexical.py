@@ -3,43 +3,22 @@ brute-force forms, containment and within-pool dedup."""
 
 from __future__ import annotations
 
-import re
 from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
 from ..sources.tables import spread
+from . import scan
 from .embed import normalize_text
+from .scan import WORDS, distinct_grams
 
-WORDS = re.compile(r"\w+").findall
-#: Characters of an eval side up to which its postings are broadcast. A gram takes at least
-#: two characters, so the table has at most half as many rows.
-BROADCAST_CHARS = 12_000_000
-_MIX = np.uint64(0x9E3779B97F4A7C15)
-
-
-def _distinct_grams(words: list[str], k: int, memory: dict[str, int]) -> np.ndarray:
-    """Hashes of the distinct k-grams of a record."""
-    n = len(words) - k + 1
-    if n <= 0:
-        return np.zeros(0, np.int64)
-    for w in words:
-        if w not in memory:
-            memory[w] = xxhash.xxh3_64_intdigest(w)
-    x = np.fromiter(map(memory.__getitem__, words), np.uint64, len(words))
-    h = x[:n].copy()
-    for i in range(1, k):
-        h *= _MIX
-        h += x[i : i + n]
-    h ^= h >> np.uint64(29)
-    h *= np.uint64(0xBF58476D1CE4E5B9)
-    h ^= h >> np.uint64(32)
-    return np.unique(h).view(np.int64)
+#: Characters of an eval side up to which its postings are joined by broadcast; a larger one
+#: is scanned in blocks, so that pairs that are not asked for are never rows.
+BROADCAST_CHARS = 1_000_000
 
 
 def gram_sets(df: DataFrame, k: int = 5, keep: tuple[str, ...] = ("id",)) -> DataFrame:
@@ -55,7 +34,7 @@ def gram_sets(df: DataFrame, k: int = 5, keep: tuple[str, ...] = ("id",)) -> Dat
                 part = b.slice(lo, 512)
                 if len(memory) > 500_000:
                     memory.clear()
-                sets = [_distinct_grams(WORDS(normalize_text(t or "")), k, memory) for t in part.column(len(keep)).to_pylist()]
+                sets = [distinct_grams(WORDS(normalize_text(t or "")), k, memory) for t in part.column(len(keep)).to_pylist()]
                 n = np.fromiter(map(len, sets), np.int32, len(sets))
                 flat = pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64))
                 grams = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(n)].astype(np.int32)), flat)
@@ -74,10 +53,17 @@ def _postings(sets: DataFrame, side: str, keys: tuple[str, ...]) -> DataFrame:
 def overlaps(train: DataFrame, evals: DataFrame, k: int = 5, keys: tuple[str, ...] = ("id",)) -> DataFrame:
     """t_<keys>, e_id, inter, t_n, e_n of every pair that shares a gram. The eval side's
     postings are broadcast while small, so only counted pairs are shuffled."""
+    return _joined(train, evals, k, keys, is_small(evals))
+
+
+def is_small(evals: DataFrame) -> bool:
+    return (evals.agg(F.sum(F.length("text"))).first()[0] or 0) <= BROADCAST_CHARS
+
+
+def _joined(train: DataFrame, evals: DataFrame, k: int, keys: tuple[str, ...], small: bool) -> DataFrame:
     t = _postings(gram_sets(train, k, keys), "t", keys)
-    chars = evals.agg(F.sum(F.length("text"))).first()[0] or 0
     e = _postings(gram_sets(evals, k), "e", ("id",))
-    e = F.broadcast(e) if chars <= BROADCAST_CHARS else e
+    e = F.broadcast(e) if small else e
     by = [*(f"t_{c}" for c in keys), "e_id"]
     return t.join(e, "gram").groupBy(*by).agg(F.count(F.lit(1)).alias("inter"), F.first("t_n").alias("t_n"), F.first("e_n").alias("e_n"))
 
@@ -86,23 +72,61 @@ def _jaccard() -> Column:
     return F.col("inter") / (F.col("t_n") + F.col("e_n") - F.col("inter"))
 
 
+def _scanned(train: DataFrame, evals: DataFrame, k: int, keys: tuple[str, ...], score, tau: float, name: str) -> DataFrame:
+    """t_<keys>, e_id, inter and the score of the pairs that reach tau."""
+
+    def work(s, blocks):
+        for b in blocks:
+            for row, place, inter, v in scan.lexical_pairs(s, b, (score, tau)):
+                yield row, (b.ids[place], inter, v)
+
+    f = scan.Features(k=k)
+    kinds = dict(train.dtypes)
+    schema = ", ".join(f"t_{c} {kinds[c]}" for c in keys) + f", e_id bigint, inter bigint, {name} double"
+    return scan.run(train, scan.blocks(evals, f, scan.EVAL_BYTES), f, work, schema, keys)
+
+
 def pairs(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.4, keys: tuple[str, ...] = ("id",)) -> DataFrame:
     """Pairs of Jaccard at least tau (inclusive)."""
-    return overlaps(train, evals, k, keys).withColumn("jaccard", _jaccard()).where(F.col("jaccard") >= tau - 1e-9).drop("t_n", "e_n")
+    if not is_small(evals):
+        return _scanned(train, evals, k, keys, lambda inter, t, e: inter / (t + e - inter), tau, "jaccard")
+    return _joined(train, evals, k, keys, True).withColumn("jaccard", _jaccard()).where(F.col("jaccard") >= tau - 1e-9).drop("t_n", "e_n")
 
 
 def best(train: DataFrame, evals: DataFrame, k: int = 5) -> DataFrame:
     """t_id, best_e, j_max: the largest overlap of each train record, 0 if it has none;
     ties go to the smallest eval id."""
-    j = overlaps(train, evals, k).withColumn("j", _jaccard())
-    top = j.groupBy("t_id").agg(F.max(F.struct("j", (-F.col("e_id")).alias("e"))).alias("m"))
-    top = top.select("t_id", (-F.col("m.e")).alias("best_e"), F.col("m.j").alias("j_max"))
-    return train.select(F.col("id").alias("t_id")).join(top, "t_id", "left").withColumn("j_max", F.coalesce("j_max", F.lit(0.0)))
+
+    def work(s, blocks):
+        top = scan.BestLexical(s)
+        for b in blocks:
+            top.step(b)
+        yield None, top.rows()
+
+    f = scan.Features(k=k)
+    return scan.run(train, scan.blocks(evals, f, scan.EVAL_BYTES), f, work, "t_id bigint, best_e bigint, j_max double")
+
+
+def top(train: DataFrame, evals: DataFrame, most: int, k: int = 5) -> DataFrame:
+    """t_id, e_id, rank, jaccard: the ``most`` largest overlaps of each train record; those
+    equal to nine digits are ties, which go to smaller eval ids."""
+
+    def work(s, blocks):
+        found = scan.TopLexical(s, most)
+        for b in blocks:
+            found.step(b)
+        row, e, rank, j = found.rows()
+        yield row, (e, rank.astype(np.int32), j)
+
+    f = scan.Features(k=k)
+    return scan.run(train, scan.blocks(evals, f, scan.EVAL_BYTES), f, work, "t_id bigint, e_id bigint, rank int, jaccard double")
 
 
 def containment(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.8) -> DataFrame:
     """Extension for a short text inside a long one: shared grams over the eval's grams."""
-    return overlaps(train, evals, k).withColumn("containment", F.col("inter") / F.col("e_n")).where(F.col("containment") >= tau - 1e-9).select("t_id", "e_id", "inter", "containment")
+    if not is_small(evals):
+        return _scanned(train, evals, k, ("id",), lambda inter, t, e: inter / e, tau, "containment")
+    return _joined(train, evals, k, ("id",), True).withColumn("containment", F.col("inter") / F.col("e_n")).where(F.col("containment") >= tau - 1e-9).select("t_id", "e_id", "inter", "containment")
 
 
 def pairs_brute(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.4) -> DataFrame:

@@ -12,7 +12,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import components, connected, cut, gathered, raw_texts_of, runs, text_slices
@@ -168,6 +168,8 @@ BITS = 128
 RADIUS = 36
 #: Signatures (sd .025 at .8) pass this far under the similarity: six standard deviations.
 MARGIN = 0.15
+#: Bands of a signature and minima of each: 1 - (1 - .8^5)^51 at a similarity of .8.
+BANDS, ROWS = 51, 5
 _FACTORS = np.random.default_rng(17).integers(1, 1 << 32, SLOTS, dtype=np.uint32) | np.uint32(1)
 #: Pairs whose signatures are held side by side at once.
 _AT_ONCE = 1 << 15
@@ -214,92 +216,79 @@ def set_hash(shingles: np.ndarray) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(shingles.tobytes(), SEED)).view(np.int64))
 
 
-def _dealt(tiles: int):
-    """Rows (sketch, key, sig) as blobs for each pair of tiles."""
-
-    def run(batches):
-        for b in gathered(batches, 1 << 16):
-            first = np.frombuffer(b"".join(b.column("sketch").to_pylist()), "<u8").reshape(-1, BITS // 64)[:, 0]
-            tile = ((first * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)) % np.uint64(tiles)
-            for mine in np.unique(tile).tolist():
-                part = b.take(pa.array(np.flatnonzero(tile == np.uint64(mine))))
-                blobs = [b"".join(part.column("sketch").to_pylist()), *([np.asarray(part.column("key")).tobytes(), b"".join(part.column("sig").to_pylist())] if "sig" in b.schema.names else [])]
-                for other in range(tiles):
-                    yield pa.RecordBatch.from_arrays([pa.array([min(mine, other)], pa.int32()), pa.array([max(mine, other)], pa.int32()), pa.array([2 if mine == other else int(mine > other)], pa.int32()), *(pa.array([x], pa.binary()) for x in blobs)], ["low", "high", "side", "sketches", "keys", "sigs"][: 3 + len(blobs)])
-
-    return run
-
-
-def _sides(rows: pa.Table, column: str, kind: str, width: int = 1) -> tuple[np.ndarray, np.ndarray, bool]:
-    side, blobs = rows.column("side").to_pylist(), rows.column(column).to_pylist()
-    take = lambda k: np.frombuffer(b"".join(x for s, x in zip(side, blobs, strict=True) if s == k), kind)
-    one = 2 in side
-    a, b = (take(2), take(2)) if one else (take(0), take(1))
-    return (a.reshape(-1, width), b.reshape(-1, width), one) if width > 1 else (a, b, one)
-
-
-def _near(a: np.ndarray, b: np.ndarray, one: bool, radius: int):
-    """Pairs of places of sketches within the radius, some rows of a at a time, against the
-    rows of b whose population counts differ by no more than the radius."""
-    of = lambda x: np.bitwise_count(x).sum(1, dtype=np.int64)
-    by_a, by_b = np.argsort(of(a), kind="stable"), np.argsort(of(b), kind="stable")
-    a, b = a[by_a], b[by_b]
-    ones, others = of(a), of(b)
-    columns = [np.ascontiguousarray(b[:, k]) for k in range(b.shape[1])]
+def _banded(batches):
+    """(band, key): a 64-bit hash of each of BANDS runs of ROWS bytes of a signature and its
+    number."""
+    h = xxhash.xxh64_intdigest
+    for b in gathered(batches, 1 << 14):
+        sigs = b.column("sig").to_pylist()
+        bands = np.array([h(x[k * ROWS : (k + 1) * ROWS], k) for x in sigs for k in range(BANDS)], np.uint64).view(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(bands), pa.array(np.repeat(b.column("key").to_numpy(), BANDS))], ["band", "key"])
+
+
+def _pairs_within(n: np.ndarray):
+    """Pairs of places of runs of n[0], n[1], ... rows, each with itself, some at a time."""
+    starts = np.cumsum(n) - n
+    ends = np.repeat(starts + n, n)
+    later = ends - np.arange(ends.size) - 1  # rows of its run behind each row
+    at = np.cumsum(later)
     lo = 0
-    while lo < len(a):
-        hi = lo + max(1, (1 << 18) // max(1, len(b)))
-        first, last = np.searchsorted(others, [ones[lo] - radius, ones[min(hi, len(a)) - 1] + radius + 1])
-        differ = sum(np.bitwise_count(a[lo:hi, k, None] ^ column[None, first:last]) for k, column in enumerate(columns))
-        i, j = np.nonzero(differ <= radius)
-        i, j = by_a[i + lo], by_b[j + first]
-        if one:
-            i, j = i[i < j], j[i < j]
+    while lo < later.size:
+        hi = max(lo + 1, int(np.searchsorted(at, (at[lo - 1] if lo else 0) + 8 * _AT_ONCE, side="right")))
+        m = later[lo:hi]
+        i = np.repeat(np.arange(lo, hi), m)
         if i.size:
-            yield i, j
+            yield i, np.arange(i.size) - np.repeat(np.cumsum(m) - m, m) + i + 1
         lo = hi
 
 
-def _with_neighbours(radius: int):
-    def run(rows: pa.Table) -> pa.Table:
-        a, b, one = _sides(rows, "sketches", "<u8", BITS // 64)
-        x, y = np.zeros(len(a), bool), np.zeros(len(b), bool)
-        for i, j in _near(a, b, one, radius):
-            x[i] = y[j] = True
-        return pa.table({"sketch": pa.array([v.tobytes() for v in np.unique(np.r_[a[x], b[y]], axis=0)], pa.binary())})
-
-    return run
-
-
 def _verified(radius: int, similarity: float):
-    """Spanning forest (a, b) of a tile pair's links: within the radius and similar enough.
-    Pairs that are connected already are not compared again."""
+    """Spanning forest (a, b) of the links of a task's buckets: sketches within the radius and
+    signatures similar enough. Pairs that are connected already are not compared again."""
     least = similarity + (1 - similarity) / 256  # bytes agree by chance
 
     def run(rows: pa.Table) -> pa.Table:
-        a, b, one = _sides(rows, "sketches", "<u8", BITS // 64)
-        ka, kb, _ = _sides(rows, "keys", "<i8")
-        sa, sb, _ = _sides(rows, "sigs", np.uint8, SLOTS)
-        names = np.unique(np.r_[ka, kb])
-        pa_, pb = np.searchsorted(names, ka), np.searchsorted(names, kb)
+        order = np.argsort(rows.column("band").to_numpy(), kind="stable")
+        band, key, side = (rows.column(c).to_numpy()[order] for c in ("band", "key", "side"))
+        words = np.frombuffer(b"".join(rows.column("sketch").to_pylist()), "<u8").reshape(-1, BITS // 64)[order]
+        sigs = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint8).reshape(-1, SLOTS)[order]
+        names, at = np.unique(key, return_inverse=True)
         root = np.arange(names.size)
-        for i, j in _near(a, b, one, radius):
+        if (side == 2).all():
+            pairs = _pairs_within(runs(band)[1])
+        else:  # two tiles of one bucket
+            a, b = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+            step = max(1, 8 * _AT_ONCE // max(1, b.size))
+            pairs = ((np.repeat(a[k : k + step], b.size), np.tile(b, a[k : k + step].size)) for k in range(0, a.size, step))
+        for i, j in pairs:
+            apart = root[at[i]] != root[at[j]]
+            i, j = i[apart], j[apart]
+            near = np.bitwise_count(words[i] ^ words[j]).sum(1, dtype=np.int64) <= radius
+            i, j = i[near], j[near]
             for lo in range(0, i.size, _AT_ONCE):
                 p, q = i[lo : lo + _AT_ONCE], j[lo : lo + _AT_ONCE]
-                apart = root[pa_[p]] != root[pb[q]]
-                p, q = p[apart], q[apart]
-                ok = (sa[p] == sb[q]).sum(1) >= least * SLOTS
-                root = connected(names.size, pa_[p[ok]], pb[q[ok]], root)
+                ok = (sigs[p] == sigs[q]).sum(1) >= least * SLOTS
+                if ok.any():
+                    root = connected(names.size, at[p[ok]], at[q[ok]], root)
         moved = np.flatnonzero(root != np.arange(names.size))
         return pa.table({"a": pa.array(names[moved], pa.int64()), "b": pa.array(names[root[moved]], pa.int64())})
 
     return run
 
 
-def _tile_pairs(rows: DataFrame, columns: list[str], tile: int) -> DataFrame:
-    tiles = max(1, -(-rows.count() // tile))
-    blobs = ", ".join(f"{c} binary" for c in ("sketches", "keys", "sigs")[: len(columns)])
-    return rows.select(*columns).mapInArrow(_dealt(tiles), f"low int, high int, side int, {blobs}").groupBy("low", "high")
+def _in_buckets(classes: DataFrame, tile: int, lot: int):
+    """Classes (key, sketch, sig) grouped for comparison with those that share a band: many
+    small buckets to a task, one of more than ``tile`` rows by pairs of its tiles. A band and
+    a key are sent for every class, sketch and signature only where a bucket has two."""
+    bands = classes.select("key", "sig").mapInArrow(_banded, "band long, key long")
+    met = cut(bands.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("band"))).where("n > 1"))
+    lots = max(1, -(-met.count() // lot))
+    split = met.withColumn("tiles", F.ceil(F.col("n") / tile).cast("int")).withColumn("tile", F.pmod(F.xxhash64("key"), F.col("tiles")).cast("int"))
+    split = split.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    large = F.col("tiles") > 1
+    side = F.when(F.col("tile") == F.col("other"), 2).when(F.col("tile") < F.col("other"), 0).otherwise(1)
+    dealt = split.select("band", "key", large.alias("large"), F.when(large, F.col("band")).otherwise(F.pmod("band", F.lit(lots))).alias("lot"), F.least("tile", "other").alias("low"), F.greatest("tile", "other").alias("high"), side.alias("side"))
+    return dealt.join(classes.select("key", "sketch", "sig"), "key").groupBy("large", "lot", "low", "high")
 
 
 def _sets(width: int):
@@ -379,20 +368,16 @@ def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8,
     """doc_id, text_hash (xxhash64 of the text: tells rows that repeat a doc_id apart), group_id
     (any numbers) and component_id (smallest doc_id of the group) of each row. Linked are texts
     whose sets of shingles have the similarity, which is decided by the sets themselves
-    (64-bit hashes of their shingles). Candidates are pairs of SimHash sketches within RADIUS
-    bits, which about one in 100,000 pairs of similarity .8 misses, whose signatures come
-    within MARGIN of it. First the sketches with any neighbour are found, then only those are
-    compared by signature, and the groups that this makes are compared exactly. A null
+    (64-bit hashes of their shingles). Candidates share one of BANDS bands of their signatures,
+    which about two in 10^9 pairs of similarity .8 do not, and have SimHash sketches within
+    RADIUS bits, which about one in 100,000 of them misses, and signatures that come within
+    MARGIN of it; the groups that this makes are compared exactly. A null
     doc_id is linked with nothing and has no group (null). Texts without words are alike."""
     signed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(_signed(width), f"doc_id {dict(docs.dtypes)['doc_id']}, text_hash long, same long, sketch binary, sig binary")
     rows = cut(signed)
     classes = rows.where("doc_id is not null").groupBy("sketch", "same").agg(F.min("doc_id").alias("key"))
-    alone = cut(classes.groupBy("sketch").agg(F.count(F.lit(1)).alias("n")))
-    near = _tile_pairs(alone, ["sketch"], tile).applyInArrow(_with_neighbours(RADIUS), "sketch binary")
-    hits = near.unionByName(alone.where("n > 1").select("sketch")).distinct()
-    asked = rows.where("doc_id is not null").join(hits, "sketch", "left_semi")
-    asked = cut(asked.groupBy("sketch", "same").agg(F.min("doc_id").alias("id"), F.first("sig").alias("sig")).withColumnRenamed("same", "key"))
-    links = _tile_pairs(asked, ["sketch", "key", "sig"], tile).applyInArrow(_verified(RADIUS, similarity - MARGIN), "a long, b long")
+    asked = cut(rows.where("doc_id is not null").groupBy("sketch", "same").agg(F.min("doc_id").alias("id"), F.first("sig").alias("sig")).withColumnRenamed("same", "key"))
+    links = _in_buckets(asked, tile, 1 << 16).applyInArrow(_verified(RADIUS, similarity - MARGIN), "a long, b long")
     coarse = components(cut(links)).join(asked.select(F.col("key").alias("node"), F.col("id").alias("key")), "node")
     found = components(cut(_exact_links(docs, coarse, width, similarity, most_shingles, most_sets)))
     named = cut(classes.join(found.withColumnRenamed("node", "same"), "same", "left").withColumn("group", F.coalesce("component", "same")))

@@ -702,3 +702,25 @@ def test_long_texts(spark):
     assert {r.doc_id: r.fingerprint for r in simhash.near_documents(rows).collect()}[0] == f"{brute_fingerprint(texts[0]):016x}"
     pieces = packing.pack_documents(rows, tok.path("word_bpe_49k.json")).groupBy("doc_id").sum("length").collect()
     assert len(pieces) == 4 and all(r[1] > 1 for r in pieces)
+
+
+def test_only_sketches_that_share_a_band_meet(spark):
+    """The search for near-duplicates sends no unrelated text to a comparison, so its work
+    does not grow with the square of the texts; pairs of .8 and above all meet."""
+    rng = random.Random(79)
+    levels = [0.8, 0.9] * 40
+    texts = [" ".join(f"w{rng.getrandbits(40)}" for _ in range(60)) for _ in range(200)] + [t for v in levels for t in shared(rng, 150, v)]
+
+    def signed(batches):
+        import pyarrow as pa
+
+        for b in simhash._signed(5)(batches):
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(3), b.column(4)], ["key", "sketch", "sig"])
+
+    rows = frame(spark, texts).selectExpr("doc_id", "text", "0L as text_hash").mapInArrow(signed, "key long, sketch binary, sig binary")
+    met = simhash._in_buckets(rows, 8192, 1 << 16).applyInArrow(lambda t: t.select(["key"]), "key long")
+    sent = {r.key for r in met.distinct().collect()}
+    assert sent == set(range(200, len(texts)))
+    sigs = {r.key: r.sig for r in rows.collect()}
+    bands = lambda x: {(k, x[k * simhash.ROWS : (k + 1) * simhash.ROWS]) for k in range(simhash.BANDS)}
+    assert all(bands(sigs[i]) & bands(sigs[i + 1]) for i in range(200, len(texts), 2))

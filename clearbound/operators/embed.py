@@ -20,11 +20,20 @@ from ..sources.tables import spread
 
 WIDTH = 1024
 IDF_WIDTH = 1 << 18
-_COMMAND, _MARKS, _BLANKS = re.compile(r"\\[a-z]+"), re.compile(r"[$(){}\[\],]"), re.compile(r"[ \t\n\r\f]+")
+_COMMAND = re.compile(r"\\[a-z]+")
 
 
 def normalize_text(x: str) -> str:
-    return _BLANKS.sub(" ", _MARKS.sub(" ", _COMMAND.sub(" ", x.lower()))).strip(" ")
+    """By whole-string replacements, which took a tenth of the time of three expressions."""
+    x = x.lower()
+    if "\\" in x:
+        x = _COMMAND.sub(" ", x)
+    for c in "$(){}[],\t\n\r\f":
+        if c in x:
+            x = x.replace(c, " ")
+    while "  " in x:
+        x = x.replace("  ", " ")
+    return x.strip(" ")
 
 
 def feature_hash(term: str) -> tuple[int, int]:
@@ -65,11 +74,12 @@ class CharGrams:
             words.append("".join(reversed(w)))
         return words, pair // max(1, each.size), pair % max(1, each.size), count
 
-    def encode(self, texts: list[str], memory: dict | None = None) -> np.ndarray:
-        """Unit vectors of texts, of a bounded number at a time. ``memory`` keeps term hashes."""
+    def encode(self, texts: list[str], memory: dict | None = None, clean: list[str] | None = None) -> np.ndarray:
+        """Unit vectors of texts, of a bounded number at a time. ``memory`` keeps term hashes;
+        ``clean``: the normalised texts, where the caller has them."""
         memory = {} if memory is None else memory
         if type(self) is CharGrams and self.k == 4:
-            return self._encode_fours(texts, memory)
+            return self._encode_fours(texts, memory, clean)
         out = np.zeros((len(texts), WIDTH))
         words, row, term, count = self.terms(texts)
         if words:
@@ -85,14 +95,15 @@ class CharGrams:
         norm = np.sqrt((out * out).sum(1, keepdims=True))
         return np.divide(out, norm, out=out, where=norm > 0)
 
-    def _encode_fours(self, texts: list[str], memory: dict) -> np.ndarray:
+    def _encode_fours(self, texts: list[str], memory: dict, clean: list[str] | None = None) -> np.ndarray:
         """As ``encode``: four characters of 16 bits are one number, and hashes of numbers seen
         before are looked up. A text with other characters goes by ``terms``."""
         keys, counts, rows = [], [], []
         out = np.zeros((len(texts), WIDTH))
         other = memory.setdefault("other", {})
+        clean = [normalize_text(x or "") for x in texts] if clean is None else clean
         for i, x in enumerate(texts):
-            c = np.frombuffer(normalize_text(x or "").encode("utf-32-le", "surrogatepass"), "<u4")
+            c = np.frombuffer(clean[i].encode("utf-32-le", "surrogatepass"), "<u4")
             if c.size < 4:
                 continue
             if c.max() >= 0xD800:

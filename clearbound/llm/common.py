@@ -3,6 +3,7 @@ columns for exchanges, held-out folds and connected components."""
 
 from __future__ import annotations
 
+import ctypes
 import os
 import struct
 import tempfile
@@ -17,7 +18,9 @@ from pyspark.sql import functions as F
 from ..sources.tables import spread
 
 #: Text bytes that one vectorised step handles at once; bounds a worker's memory.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
+#: Links up to which one task finds the components.
+FEW_LINKS = 1 << 18
 
 
 #: Rows of an Arrow batch at most: with the default of 10,000 a batch of long texts is
@@ -124,6 +127,17 @@ def text_slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit:
             stop = max(at + 1, int(np.searchsorted(ends, base + limit, side="right")))
             yield batch.slice(at, stop - at)
             at = stop
+    release()
+
+
+def release() -> None:
+    """Gives freed memory back at the end of a task: Spark uses a worker again and again, and
+    it would else hold the most that any of its tasks has needed."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
 
 
 def gathered(batches: Iterable[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
@@ -136,6 +150,7 @@ def gathered(batches: Iterable[pa.RecordBatch], rows: int) -> Iterator[pa.Record
             held = []
     if sum(x.num_rows for x in held):
         yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+    release()
 
 
 def texts_of(batch: pa.RecordBatch, column: str = "text") -> list[str]:
@@ -235,13 +250,26 @@ def connected(n: int, a: np.ndarray, b: np.ndarray, label: np.ndarray | None = N
     return label
 
 
+def _contracted(batches):
+    """(node, component) of all links of a task."""
+    held = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
+    if held:
+        a, b = (np.concatenate(x) for x in zip(*held, strict=True))
+        nodes, at = np.unique(np.r_[a, b], return_inverse=True)
+        label = connected(nodes.size, at[: a.size], at[a.size :])
+        yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(nodes[label])], ["node", "component"])
+
+
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """Connected components of ``links`` (a, b): one row (node, component) for each node
-    that occurs, component being the smallest node reached. Rounds of star contraction,
+    that occurs, component being the smallest node reached. Up to FEW_LINKS links (4 MB) are
+    one task's, which spares the rounds' many small stages. More: rounds of star contraction,
     each with map-side combined minima and a checkpoint, until the edges form stars. A
     node of very many edges is one key of the joins, which Spark splits as a skewed join:
     both sides of each join come out of a checkpoint or an exchange of their own."""
     edges = cut(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct())
+    if set(dict(edges.dtypes).values()) == {"bigint"} and edges.count() <= FEW_LINKS:
+        return cut(edges.coalesce(1).mapInArrow(_contracted, "node long, component long"))
     seen = None
     for _ in range(most_rounds):
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))

@@ -80,3 +80,19 @@ def test_packed(stages):
             at += length
         assert at <= 2048
     assert ids(stages["packing"]) == ids(stages["substring_dedup"])
+
+
+def test_components_of_few_links_in_one_task(spark, monkeypatch):
+    from clearbound.llm import common
+
+    links = [(7, 3), (3, 9), (9, 7), (20, 21), (22, 21), (-5, 40), (40, 41), (41, 42), (6, 6)]
+    df = spark.createDataFrame(links, "a long, b long")
+    want = [(-5, -5), (3, 3), (7, 3), (9, 3), (20, 20), (21, 20), (22, 20), (40, -5), (41, -5), (42, -5)]
+    stages = []
+    real = common.cut
+    monkeypatch.setattr(common, "cut", lambda x: stages.append(1) or real(x))
+    assert sorted(map(tuple, common.components(df).collect())) == sorted(want)
+    assert len(stages) == 2
+    assert common.components(df.where("false")).count() == 0
+    monkeypatch.setattr(common, "FEW_LINKS", -1)
+    assert sorted(map(tuple, common.components(df).collect())) == sorted(want)

@@ -21,8 +21,9 @@ TAU_J, TAU_C = 0.4, 0.85
 # -- stage 1 and 2 together
 
 
-def best_scores(train: DataFrame, evals: DataFrame, embedder: CharGrams, k: int = 5) -> DataFrame:
-    """t_id, best_lex, j_max, best_sem, c_max for each train record."""
+def best_scores(train: DataFrame, evals: DataFrame, embedder: CharGrams, k: int = 5, keep: tuple[str, ...] = ()) -> DataFrame:
+    """t_id, best_lex, j_max, best_sem, c_max for each train record; the columns ``keep`` of
+    them stored."""
 
     def work(s, blocks):
         lex, sem = scan.BestLexical(s), scan.BestCosine(s)
@@ -32,7 +33,9 @@ def best_scores(train: DataFrame, evals: DataFrame, embedder: CharGrams, k: int
         yield None, (*lex.rows(), *sem.rows())
 
     f = scan.Features(k=k, embedder=embedder)
-    return scan.run(train, scan.blocks(evals, f, scan.EVAL_BYTES), f, work, "t_id bigint, best_lex bigint, j_max double, best_sem bigint, c_max double")
+    shared = scan.blocks(evals, f, scan.EVAL_BYTES)
+    best = scan.run(train, shared, f, work, "t_id bigint, best_lex bigint, j_max double, best_sem bigint, c_max double")
+    return stored(best.select(*keep), shared) if keep else best
 
 
 def candidates(best: DataFrame, rule: str = "union", tau_j: float = TAU_J, tau_c: float = TAU_C) -> DataFrame:

@@ -67,10 +67,26 @@ def spread(df: DataFrame) -> DataFrame:
     return df.repartition(df.sparkSession.sparkContext.defaultParallelism) if size <= SMALL_TABLE else df
 
 
-def stored(df: DataFrame) -> DataFrame:
+#: Has Spark remove the shuffle files of a query when it ends.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def stored(df: DataFrame, shared: list = ()) -> DataFrame:
     """A result that several parts of a plan read, computed once: a checkpoint where the
-    session names a shared folder, else kept by the executors with its lineage."""
-    return df.checkpoint() if df.sparkSession.sparkContext.getCheckpointDir() else df.persist()
+    session names a shared folder, else kept by the executors with its lineage. A checkpoint
+    ends the query, so its shuffle files and the broadcasts ``shared`` are removed with it."""
+    spark = df.sparkSession
+    if not spark.sparkContext.getCheckpointDir():
+        return df.persist()
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        out = df.select("*").checkpoint()  # the setting holds for frames that are made under it
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    for b in shared:
+        b.destroy()
+    return out
 
 
 def sized_broadcast(df: DataFrame, most_rows: int) -> DataFrame:

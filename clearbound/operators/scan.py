@@ -15,7 +15,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 
-from ..sources.tables import spread, stored
+from ..sources.tables import spread
 from .embed import normalize_text
 
 WORDS = re.compile(r"\w+").findall
@@ -136,8 +136,39 @@ class Classes:
         return np.repeat(np.arange(at.size), n), self.members[ranges(self.starts[at], n)]
 
 
+def coded(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of numbers as the different ones of each row, how many those are, and their places:
+    2 bytes a number besides. Vectors of counts hold few different numbers. Without loss."""
+    if len(x) > 512:
+        return tuple(np.concatenate(c) for c in zip(*(coded(x[lo : lo + 512]) for lo in range(0, len(x), 512)), strict=True))
+    bits = np.ascontiguousarray(x).view(np.int64)
+    order = np.argsort(bits, axis=1)
+    ranked = np.take_along_axis(bits, order, 1)
+    new = np.ones(bits.shape, bool)
+    new[:, 1:] = ranked[:, 1:] != ranked[:, :-1]
+    place = np.empty(bits.shape, np.uint16)
+    np.put_along_axis(place, order, (np.cumsum(new, axis=1) - 1).astype(np.uint16), 1)
+    return ranked[new].view(x.dtype), new.sum(1), place
+
+
+def decoded(values: np.ndarray, n: np.ndarray, place: np.ndarray) -> np.ndarray:
+    return values[(np.cumsum(n) - n)[:, None] + place]
+
+
 class Block:
-    """Records of the eval side with all that a train record is compared with."""
+    """Records of the eval side with all that a train record is compared with. Vectors are
+    coded while it travels."""
+
+    def __getstate__(self):
+        state = dict(vars(self))
+        if self.x is not None and self.x.dtype == np.float64 and 0 < self.x.shape[1] <= 1 << 16:
+            state["x"] = coded(self.x)
+        return state
+
+    def __setstate__(self, state):
+        vars(self).update(state)
+        if isinstance(self.x, tuple):
+            self.x = decoded(*self.x)
 
     def __init__(self, ids: np.ndarray, parts: list[dict[str, np.ndarray]]):
         data = {c: np.concatenate([p[c] for p in parts]) for c in parts[0]}
@@ -146,7 +177,7 @@ class Block:
             self.classes = Classes(data["grams"], data["grams_n"], np.argsort(ids, kind="stable"))
             self.least = ids[self.classes.members[self.classes.starts]] if self.classes.size.size else ids[:0]
             self.terms, self.posting = np.unique(self.classes.grams, return_index=True)
-            self.posting = np.r_[self.posting, self.classes.grams.size]
+            self.posting = np.r_[self.posting, self.classes.grams.size].astype(np.int32)
             self.classes.grams = None  # the terms say the same
         if "masked" in data:
             self.masked_n, self.length = data["masked_n"], data["length"]
@@ -166,10 +197,13 @@ def blocks(evals: DataFrame, features: Features, most_bytes: int) -> list:
         for b in batches:
             for lo in range(0, b.num_rows, rows_at_once):
                 part = b.slice(lo, rows_at_once)
-                yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((part.column(0).to_numpy(), features.of(part.column(1).to_pylist(), memory)))], pa.binary())], ["part"])
+                data = features.of(part.column(1).to_pylist(), memory)
+                if "x" in data and 0 < data["x"].shape[1] <= 1 << 16:
+                    data["x"] = coded(data["x"])
+                yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((part.column(0).to_numpy(), data))], pa.binary())], ["part"])
 
     spark = evals.sparkSession
-    kept = stored(spread(evals.select("id", features.column)).mapInArrow(run, "part binary"))
+    kept = spread(evals.select("id", features.column)).mapInArrow(run, "part binary").persist()  # not a checkpoint: gone as soon as it is read
     kept.count()
     out, ids, parts, held = [], [], [], 0
 
@@ -180,6 +214,8 @@ def blocks(evals: DataFrame, features: Features, most_bytes: int) -> list:
 
     for r in kept.toLocalIterator():
         own, data = pickle.loads(r["part"])
+        if isinstance(data.get("x"), tuple):
+            data["x"] = decoded(*data["x"])
         size = sum(v.nbytes for v in data.values())
         if parts and held + size > most_bytes:
             close()
@@ -223,7 +259,7 @@ def shared_grams(s: Slice, b: Block) -> Iterator[tuple[np.ndarray, np.ndarray, n
     row, term = s.classes.owner[hit].astype(np.int64), at[hit]
     order = np.argsort(row, kind="stable")
     row, term = row[order], term[order]
-    first, n, width = b.posting[term], b.posting[term + 1] - b.posting[term], b.classes.size.size
+    first, n, width = b.posting[term].astype(np.int64), np.diff(b.posting)[term].astype(np.int64), b.classes.size.size
     step = max(1, 4 * _AT_ONCE // width)
     for lo in range(0, s.classes.size.size, step):
         a, z = np.searchsorted(row, [lo, lo + step])

@@ -72,12 +72,12 @@ def _jaccard() -> Column:
     return F.col("inter") / (F.col("t_n") + F.col("e_n") - F.col("inter"))
 
 
-def _scanned(train: DataFrame, evals: DataFrame, k: int, keys: tuple[str, ...], score, tau: float, name: str) -> DataFrame:
+def _scanned(train: DataFrame, evals: DataFrame, k: int, keys: tuple[str, ...], score, tau: float, name: str, *least: float) -> DataFrame:
     """t_<keys>, e_id, inter and the score of the pairs that reach tau."""
 
     def work(s, blocks):
         for b in blocks:
-            for row, place, inter, v in scan.lexical_pairs(s, b, (score, tau)):
+            for row, place, inter, v in scan.lexical_pairs(s, b, (score, tau, *least)):
                 yield row, (b.ids[place], inter, v)
 
     f = scan.Features(k=k)
@@ -89,7 +89,7 @@ def _scanned(train: DataFrame, evals: DataFrame, k: int, keys: tuple[str, ...],
 def pairs(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.4, keys: tuple[str, ...] = ("id",)) -> DataFrame:
     """Pairs of Jaccard at least tau (inclusive)."""
     if not is_small(evals):
-        return _scanned(train, evals, k, keys, lambda inter, t, e: inter / (t + e - inter), tau, "jaccard")
+        return _scanned(train, evals, k, keys, lambda inter, t, e: inter / (t + e - inter), tau, "jaccard", tau)
     return _joined(train, evals, k, keys, True).withColumn("jaccard", _jaccard()).where(F.col("jaccard") >= tau - 1e-9).drop("t_n", "e_n")
 
 

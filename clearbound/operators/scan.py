@@ -250,10 +250,11 @@ def shared_folder(spark) -> str | None:
     return folder if at.scheme in ("", "file") and os.path.isdir(folder) and os.access(folder, os.W_OK) else None
 
 
-def blocks(evals: DataFrame, features: Features, most_bytes: int) -> list:
-    """The eval side (id and what ``features`` takes) in blocks of about ``most_bytes``, filed
-    or broadcast. All records are computed in parallel and stored; then they pass through
-    the driver partition by partition."""
+def blocks(evals: DataFrame, features: Features, most_bytes: int, label: str | None = None) -> list:
+    """The eval side (id and what ``features`` takes, and a ``label`` column) in blocks of
+    about ``most_bytes``, filed or broadcast. All records are computed in parallel and
+    stored; then they pass through the driver partition by partition."""
+    columns = ["id", features.column, *([label] if label else [])]
     rows_at_once = max(1, min(512, most_bytes // 8192))
 
     def run(batches):
@@ -264,22 +265,23 @@ def blocks(evals: DataFrame, features: Features, most_bytes: int) -> list:
                 data = features.of(part.column(1).to_pylist(), memory)
                 if "x" in data and 0 < data["x"].shape[1] <= 1 << 16:
                     data["x"] = coded(data["x"])
-                yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((part.column(0).to_numpy(), data))], pa.binary())], ["part"])
+                yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps((part.column(0).to_numpy(), data, part.column(2).to_pylist() if label else None))], pa.binary())], ["part"])
 
     spark = evals.sparkSession
-    kept = spread(evals.select("id", features.column)).mapInArrow(run, "part binary").persist()  # not a checkpoint: gone as soon as it is read
+    kept = spread(evals.select(*columns)).mapInArrow(run, "part binary").persist()  # not a checkpoint: gone as soon as it is read
     kept.count()
-    out, ids, parts, held = [], [], [], 0
+    out, ids, parts, labels, held = [], [], [], [], 0
     folder = shared_folder(spark)
 
     def close() -> None:
         block = Block(np.concatenate(ids), list(parts))
+        block.labels = list(labels) if label else None
         out.append(Filed(folder, block) if folder else spark.sparkContext.broadcast(block))
-        ids.clear()
-        parts.clear()
+        for held_ in (ids, parts, labels):
+            held_.clear()
 
     for r in kept.toLocalIterator():
-        own, data = pickle.loads(r["part"])
+        own, data, names = pickle.loads(r["part"])
         if isinstance(data.get("x"), tuple):
             data["x"] = decoded(*data["x"])
         size = sum(v.nbytes for v in data.values())
@@ -288,6 +290,7 @@ def blocks(evals: DataFrame, features: Features, most_bytes: int) -> list:
             held = 0
         ids.append(own)
         parts.append(data)
+        labels += names or []
         held += size
     if parts:
         close()
@@ -371,16 +374,21 @@ def lexical_pairs(s: Slice, b: Block, asked) -> Iterator[tuple[np.ndarray, np.nd
         yield row[again], place, inter[at][again], v[at][again]
 
 
-def near_pairs(s: Slice, b: Block, tau: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+def near_pairs(s: Slice, b: Block, tau: float, scores: bool = True) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """(row, place in the block, cosine) of the pairs from tau on. A product in single
-    precision finds them with a margin, double precision decides."""
+    precision finds them with a margin, double precision decides. Without ``scores`` only
+    pairs within that margin are decided so, and the cosines are not exact."""
     other = b.x if s.single is s.x else b.single
     for lo in range(0, s.size, PRODUCT):
         c = s.single[lo : lo + PRODUCT] @ other.T
         i, j = np.divmod(np.flatnonzero(c.reshape(-1) >= c.dtype.type(tau - SLACK - (0 if s.single is s.x else SINGLE))), len(other))
         for at in range(0, i.size, 4096):
             p, q = i[at : at + 4096], j[at : at + 4096]
-            v = c[p, q] if s.single is s.x else np.einsum("ij,ij->i", s.x[p + lo], b.rows(q))
+            v = c[p, q]
+            if s.single is not s.x:
+                v = v.astype(float)
+                open_ = slice(None) if scores else np.flatnonzero(v < tau - SLACK + SINGLE)
+                v[open_] = np.einsum("ij,ij->i", s.x[p[open_] + lo], b.rows(q[open_]))
             ok = v >= tau - SLACK
             yield p[ok] + lo, q[ok], v[ok]
 
@@ -521,7 +529,9 @@ def run(train: DataFrame, shared: list, features: Features, work, schema: str, k
         for batch in batches:
             for lo in range(0, batch.num_rows, SLICE):
                 part = batch.slice(lo, SLICE)
-                for row, arrays in work(Slice(part.column(len(keys)).to_pylist(), features, memory), Each()):
+                own = Slice(part.column(len(keys)).to_pylist(), features, memory)
+                own.keys = part.select(list(range(len(keys))))
+                for row, arrays in work(own, Each()):
                     own = [part.column(k) if row is None else part.column(k).take(pa.array(row)) for k in range(len(keys))]
                     yield pa.RecordBatch.from_arrays([*own, *(x if isinstance(x, pa.Array) else pa.array(x) for x in arrays)], names)
 

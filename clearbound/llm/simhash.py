@@ -164,8 +164,9 @@ def near_documents(docs: DataFrame, width: int = 4, radius: int = 4) -> DataFram
 SLOTS = 256
 #: Bits of a sketch: a SimHash of a set of shingles, of two 64-bit hashes of each.
 BITS = 128
-#: At a similarity of .8 two sketches differ in 19.3 bits in the mean, sd 4.0; random ones in 64, sd 5.7.
-RADIUS = 36
+#: At a similarity of .8 two sketches of many shingles differ in 19.3 bits in the mean, sd 4.0; those of four and of
+#: five shingles in 24, sd 4.4, the most of all: seven standard deviations. Random ones in 64, sd 5.7.
+RADIUS = 56
 #: Signatures (sd .025 at .8) pass this far under the similarity: six standard deviations.
 MARGIN = 0.15
 #: Bands of a signature and minima of each: 1 - (1 - .8^5)^51 at a similarity of .8.
@@ -350,10 +351,13 @@ def _linked(similarity: float):
 
 
 def _exact_links(docs: DataFrame, coarse: DataFrame, width: int, similarity: float, most_shingles: int, most_sets: int) -> DataFrame:
-    """(a, b): links among the nodes of ``coarse`` (node, component, key) by the similarity of
-    their shingle sets. A set goes once to the task of its group; a group beyond the bounds
-    is split into blocks that are compared by pairs."""
-    picked = docs.select("doc_id", "text").join(coarse.withColumnRenamed("key", "doc_id"), "doc_id").select("component", "node", "text")
+    """(a, b): links among the nodes of ``coarse`` (node, component, key, text_hash) by the
+    similarity of their shingle sets. A set goes once to the task of its group; a group beyond
+    the bounds is split into blocks that are compared by pairs. A node without key is read
+    from the rows without doc_id, each text of them once."""
+    picked = docs.select("doc_id", "text").join(coarse.where("key is not null").select("component", "node", F.col("key").alias("doc_id")), "doc_id").select("component", "node", "text")
+    alone = docs.where("doc_id is null").select("text").distinct().withColumn("text_hash", F.xxhash64("text"))
+    picked = picked.unionByName(alone.join(coarse.where("key is null"), "text_hash").select("component", "node", "text"))
     sets = cut(picked.mapInArrow(_sets(width), "component long, node long, n long, shingles binary"))
     sizes = sets.groupBy("component").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("m"))
     sizes = cut(sizes.select("component", "n", F.greatest(F.ceil(F.col("n") / most_shingles), F.ceil(F.col("m") / most_sets), F.lit(1)).cast("int").alias("blocks")))
@@ -370,19 +374,18 @@ def similar_documents(docs: DataFrame, width: int = 5, similarity: float = 0.8,
     whose sets of shingles have the similarity, which is decided by the sets themselves
     (64-bit hashes of their shingles). Candidates share one of BANDS bands of their signatures,
     which about two in 10^9 pairs of similarity .8 do not, and have SimHash sketches within
-    RADIUS bits, which about one in 100,000 of them misses, and signatures that come within
-    MARGIN of it; the groups that this makes are compared exactly. A null
-    doc_id is linked with nothing and has no group (null). Texts without words are alike."""
+    RADIUS bits and signatures that come within MARGIN of it, which fewer miss at any number of
+    shingles; the groups that this makes are compared exactly. A row without doc_id is linked
+    like any other and has a group; it names no component and has none (null). Texts without
+    words are alike."""
     signed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(_signed(width), f"doc_id {dict(docs.dtypes)['doc_id']}, text_hash long, same long, sketch binary, sig binary")
     rows = cut(signed)
-    classes = rows.where("doc_id is not null").groupBy("sketch", "same").agg(F.min("doc_id").alias("key"))
-    asked = cut(rows.where("doc_id is not null").groupBy("sketch", "same").agg(F.min("doc_id").alias("id"), F.first("sig").alias("sig")).withColumnRenamed("same", "key"))
+    classes = rows.groupBy("sketch", "same").agg(F.min("doc_id").alias("key"))
+    asked = cut(rows.groupBy("sketch", "same").agg(F.min("doc_id").alias("id"), F.min("text_hash").alias("text_hash"), F.first("sig").alias("sig")).withColumnRenamed("same", "key"))
     links = _in_buckets(asked, tile, 1 << 16).applyInArrow(_verified(RADIUS, similarity - MARGIN), "a long, b long")
-    coarse = components(cut(links)).join(asked.select(F.col("key").alias("node"), F.col("id").alias("key")), "node")
+    coarse = components(cut(links)).join(asked.select(F.col("key").alias("node"), F.col("id").alias("key"), "text_hash"), "node")
     found = components(cut(_exact_links(docs, coarse, width, similarity, most_shingles, most_sets)))
     named = cut(classes.join(found.withColumnRenamed("node", "same"), "same", "left").withColumn("group", F.coalesce("component", "same")))
     least = cut(named.groupBy("group").agg(F.min("key").alias("component_id")))
-    out = rows.where("doc_id is not null").select("doc_id", "text_hash", "sketch", "same").join(named.join(least, "group").select("sketch", "same", F.col("group").alias("group_id"), "component_id"), ["sketch", "same"])
-    none = F.lit(None)
-    alone = rows.where("doc_id is null").select("doc_id", "text_hash", none.cast("long").alias("group_id"), none.cast(dict(docs.dtypes)["doc_id"]).alias("component_id"))
-    return out.select("doc_id", "text_hash", "group_id", "component_id").unionByName(alone)
+    out = rows.select("doc_id", "text_hash", "sketch", "same").join(named.join(least, "group").select("sketch", "same", F.col("group").alias("group_id"), "component_id"), ["sketch", "same"])
+    return out.select("doc_id", "text_hash", "group_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))

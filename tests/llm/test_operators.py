@@ -400,6 +400,17 @@ def test_candidates_at_the_threshold():
     assert max(differ) <= simhash.RADIUS and 17 <= np.mean(differ) <= 21
 
 
+def test_short_candidates_at_the_threshold():
+    """Sketches of four and of five shingles, four of them shared, differ the most."""
+    rng = np.random.default_rng(80)
+    differ = []
+    for _ in range(4000):
+        own = np.sort(rng.integers(0, 1 << 64, 5, dtype=np.uint64))
+        x, y = (np.frombuffer(simhash.sketch(h), "<u8") for h in (own, np.delete(own, 2)))
+        differ.append(int(np.bitwise_count(x ^ y).sum()))
+    assert max(differ) <= simhash.RADIUS and 23 <= np.mean(differ) <= 25
+
+
 def test_similarity_is_decided_by_the_sets(spark):
     rng = random.Random(78)
     levels = [0.74, 0.77, 0.79, 0.8, 0.81, 0.83] * 30

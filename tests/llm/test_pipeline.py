@@ -62,6 +62,18 @@ def test_copies_go(stages):
     assert None in kept
 
 
+def test_copies_without_doc_id_go(spark):
+    """Rows without doc_id go where a row with one has their text or nearly so; of those that
+    are alike among themselves one stays."""
+    words = lambda c: " ".join(f"{c}{i}" for i in range(60))
+    texts = [(None, words("a")), (7, words("a")), (None, words("a") + " end"), (None, words("b")), (None, words("b")), (None, words("b") + " end"), (None, words("c")), (9, words("d"))]
+    rows = spark.createDataFrame([(i, t, "en", f"s{k}", len(t)) for k, (i, t) in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    got = dict(P.STAGES)["near_duplicates"](spark, rows, SF).collect()
+    assert sorted(r.doc_id for r in got if r.doc_id is not None) == [7, 9]
+    assert sorted(r.text[:2] for r in got if r.doc_id is None) == ["b0", "c0"]
+    assert {r.source for r in got} < {"s1", "s3", "s5", "s6", "s7"} and all(r.n_chars == len(r.text) for r in got)
+
+
 def test_passages_go(stages):
     carriers = [r for r in stages["near_duplicates"] if r.doc_id is not None and 400000 <= r.doc_id < 400005]
     passage = " ".join(carriers[0].text.split()[-30:])

@@ -17,6 +17,8 @@ from . import lexical, scan, semantic
 from .embed import CharGrams
 
 TAU_J, TAU_C = 0.4, 0.85
+#: Thresholds of the sweeps.
+SWEEP_J, SWEEP_C = (0.3, 0.4, 0.5), (0.80, 0.85, 0.90)
 
 
 # -- stage 1 and 2 together
@@ -414,15 +416,17 @@ def eval_rates(verdicts: DataFrame, members: DataFrame) -> DataFrame:
     return v.groupBy("eval").agg(F.count(F.lit(1)).alias("s2"), F.sum((F.col("label") == "close_dup").cast("int")).cast("long").alias("s3")).withColumn("rate", F.col("s3") / F.col("s2"))
 
 
-def sweep(best: DataFrame, js=(0.3, 0.4, 0.5), cs=(0.80, 0.85, 0.90)) -> DataFrame:
-    """Records flagged at each pair of thresholds, from one pass over the best scores."""
+def sweep(best: DataFrame, js=SWEEP_J, cs=SWEEP_C) -> DataFrame:
+    """Records flagged at each pair of thresholds, from one pass over the best scores. A score
+    that is null reaches none."""
     spark = best.sparkSession
     grid = spark.createDataFrame([(float(j), float(c)) for j in js for c in cs], "j_thr double, c_thr double")
-    hit = ((F.col("j_max") >= F.col("j_thr") - 1e-9) | (F.col("c_max") >= F.col("c_thr") - 1e-9)).cast("int")
+    reaches = lambda c, thr: F.coalesce(F.col(c) >= F.col(thr) - 1e-9, F.lit(False))
+    hit = (reaches("j_max", "j_thr") | reaches("c_max", "c_thr")).cast("int")
     return best.crossJoin(F.broadcast(grid)).groupBy("j_thr", "c_thr").agg(F.sum(hit).cast("long").alias("flagged"), F.count(F.lit(1)).alias("records")).withColumn("rate", F.col("flagged") / F.col("records"))
 
 
-def sweep_single(best: DataFrame, js=(0.3, 0.4, 0.5), cs=(0.80, 0.85, 0.90)) -> DataFrame:
+def sweep_single(best: DataFrame, js=SWEEP_J, cs=SWEEP_C) -> DataFrame:
     """Records flagged by one stage alone at each of its thresholds; the other's is null."""
     at = [("lexical", j, None, F.col("j_max") >= j - 1e-9) for j in js] + [("semantic", None, c, F.col("c_max") >= c - 1e-9) for c in cs]
     one = lambda n, j, c, hit: F.struct(F.lit(n).alias("stages"), F.lit(j).cast("double").alias("j_thr"), F.lit(c).cast("double").alias("c_thr"), F.coalesce(hit, F.lit(False)).cast("int").alias("hit"))

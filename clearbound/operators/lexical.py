@@ -3,6 +3,7 @@ brute-force forms, containment and within-pool dedup."""
 
 from __future__ import annotations
 
+import hashlib
 from functools import reduce
 
 import numpy as np
@@ -11,7 +12,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
-from ..sources.tables import spread
+from ..sources.tables import spread, stored
 from . import scan
 from .embed import normalize_text
 from .scan import WORDS, distinct_grams
@@ -153,18 +154,10 @@ def pairs_pruned(train: DataFrame, evals: DataFrame, k: int = 5, tau: float = 0.
     """As ``pairs`` without loss, for two large sides: candidates share one of each side's
     rarest grams and pass the length filter, then are counted exactly. collect_list is
     of one record's grams, so bounded by its length."""
-    return _pruned(gram_sets(train, k), gram_sets(evals, k), tau)
-
-
-def _pruned(a: DataFrame, b: DataFrame | None, tau: float) -> DataFrame:
-    """Pairs of two tables of gram sets; without b, those of one with itself, t_id > e_id."""
-    within, b = b is None, a if b is None else b
-    grams = a.select(F.explode("grams").alias("gram"))
-    grams = grams if within else grams.unionAll(b.select(F.explode("grams").alias("gram")))
-    counts = grams.groupBy("gram").agg(F.count(F.lit(1)).alias("c"))
+    a, b = gram_sets(train, k), gram_sets(evals, k)
+    counts = a.select(F.explode("grams").alias("gram")).unionAll(b.select(F.explode("grams").alias("gram"))).groupBy("gram").agg(F.count(F.lit(1)).alias("c"))
     t, e = _prefixes(_ranked(a, counts), tau, "t"), _prefixes(_ranked(b, counts), tau, "e")
     fits = F.least("t_n", "e_n") >= F.greatest("t_n", "e_n") * F.lit(tau) - 1e-9
-    fits = fits & (F.col("t_id") > F.col("e_id")) if within else fits
     cand = t.join(e, "gram").where(fits).select("t_id", "e_id").distinct()
     full = cand.join(a.select(F.col("id").alias("t_id"), F.col("grams").alias("ga")), "t_id").join(b.select(F.col("id").alias("e_id"), F.col("grams").alias("gb")), "e_id")
     out = full.withColumn("inter", F.size(F.array_intersect("ga", "gb")).cast("long")).withColumn("jaccard", X.jaccard(F.col("ga"), F.col("gb")))
@@ -195,14 +188,53 @@ def dedup_exact(df: DataFrame) -> DataFrame:
     return df.select("id", (F.row_number().over(first) == 1).alias("kept"))
 
 
+def _each_gram(df: DataFrame, k: int, flat: bool) -> DataFrame:
+    """(id, n, gram) of each gram of a record, or (id, n, form) with a digest of its grams; none
+    of a record without grams."""
+
+    def run(batches):
+        memory = scan.Hashes()
+        for b in batches:
+            for lo in range(0, b.num_rows, 256):
+                part = b.slice(lo, 256)
+                if len(memory) > 500_000:
+                    memory.clear()
+                sets = scan.gram_sets([WORDS(normalize_text(t or "")) for t in part.column(1).to_pylist()], k, memory)
+                n = np.fromiter(map(len, sets), np.int32, len(sets))
+                ids = part.column(0).to_numpy(zero_copy_only=False)
+                if flat:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n)), pa.array(np.repeat(n, n)), pa.array(np.concatenate(sets))], ["id", "n", "gram"])
+                else:
+                    some = np.flatnonzero(n)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(n[some]), pa.array([hashlib.md5(sets[i].tobytes()).digest() for i in some], pa.binary())], ["id", "n", "form"])
+
+    return spread(df.select("id", "text")).mapInArrow(run, "id bigint, n int, " + ("gram bigint" if flat else "form binary"))
+
+
+def _overlapping(df: DataFrame, k: int, tau: float) -> DataFrame:
+    """Pairs t_id > e_id of a pool with itself from tau on. A gram that no other record has is
+    sent once and no further; a record of which those alone fill the prefix that a partner must
+    share a gram of is in no pair, and goes no further either. collect_list is of one record's grams."""
+    each = _each_gram(df, k, True).withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("gram"))).where("c > 1")
+    need = F.col("n") - F.ceil(F.col("n") * F.lit(tau) - 1e-9) + 1
+    sets = each.groupBy("id", "n").agg(F.sort_array(F.collect_list(F.struct("c", "gram")))["gram"].alias("grams")).withColumn("lead", (need - F.col("n") + F.size("grams")).cast("int"))
+    sets = stored(sets.where("lead > 0"))
+    side = lambda x: sets.select(F.col("id").alias(f"{x}_id"), F.col("n").alias(f"{x}_n"), F.explode(F.expr("slice(grams, 1, lead)")).alias("gram"))
+    fits = (F.least("t_n", "e_n") >= F.greatest("t_n", "e_n") * F.lit(tau) - 1e-9) & (F.col("t_id") > F.col("e_id"))
+    cand = side("t").join(side("e"), "gram").where(fits).select("t_id", "e_id").distinct()
+    full = cand.join(sets.select(F.col("id").alias("t_id"), F.col("n").alias("t_n"), F.col("grams").alias("ga")), "t_id").join(sets.select(F.col("id").alias("e_id"), F.col("n").alias("e_n"), F.col("grams").alias("gb")), "e_id")
+    out = full.withColumn("inter", F.size(F.array_intersect("ga", "gb")).cast("long"))
+    return out.where(_jaccard() >= tau - 1e-9).select("t_id", "e_id")
+
+
 def dedup_lexical(df: DataFrame, k: int = 5, tau: float = 0.4) -> DataFrame:
     """id, kept: a record goes if one of smaller id overlaps it. Records of equal gram sets
     are one class, whose smallest id stands for it in the pruned join of the pool with
     itself; so copies make no pairs. A record without grams stays."""
-    sets = gram_sets(df, k).where("n > 0").withColumn("form", F.md5(F.to_json("grams")))
-    classes = sets.groupBy("form").agg(F.min("id").alias("id"), F.first("grams").alias("grams"), F.first("n").alias("n"))
-    later = _pruned(classes.drop("form"), None, tau).select(F.col("t_id").alias("id"))
-    copies = sets.select("id", "form").join(classes.select("form", F.col("id").alias("first")), "form").where(F.col("id") != F.col("first")).select("id")
+    forms = stored(_each_gram(df, k, False))
+    classes = forms.groupBy("form").agg(F.min("id").alias("first"))
+    later = _overlapping(df.join(classes.select(F.col("first").alias("id")), "id", "left_semi"), k, tau).select(F.col("t_id").alias("id"))
+    copies = forms.join(classes, "form").where(F.col("id") != F.col("first")).select("id")
     gone = later.unionByName(copies).distinct().withColumn("hit", F.lit(True))
     return df.select("id").join(gone, "id", "left").select("id", F.col("hit").isNull().alias("kept"))
 
